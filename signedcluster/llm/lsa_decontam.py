@@ -26,22 +26,28 @@ def slot_of(word: bytes) -> int:
     return zlib.crc32(word) & (SLOTS - 1)
 
 
+class Slots(dict):
+    """Slots of words as they stand in a text, remembered."""
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = slot = slot_of(word.strip(STRIP))
+        return slot
+
+
 def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
     """Documents that hold each word slot, over all of ``docs(text)``; the number of slots bounds what is gathered."""
 
     def step(batches):
         total, n = np.zeros(SLOTS, np.int32), 0
-        memo: dict[bytes, int] = {}
+        memo = Slots()
         for batch in batches:
             for _, t in texts(batch):
                 words = set(words_of(t))
                 if len(memo) > MEMO_WORDS:
                     memo.clear()
-                for w in words:
-                    if w not in memo:
-                        memo[w] = slot_of(w.strip(STRIP))
                 if words:
-                    total[np.unique(np.fromiter(map(memo.__getitem__, words), np.int64, len(words)))] += 1
+                    # Of words in one slot, an indexed sum adds one.
+                    total[np.fromiter(map(memo.__getitem__, words), np.int64, len(words))] += 1
                 n += 1
         parts = total.reshape(-1, PART)
         yield {"part": [*range(len(parts)), -1], "df": [*(p.tobytes() for p in parts), b""], "n": [*[0] * len(parts), n]}
@@ -164,10 +170,15 @@ def find_candidates(slots: np.ndarray, index: Index, min_cosine: float) -> tuple
         for k in range(min(width, len(edges))):
             total += low[k : k + count]
             square += norm[k : k + count]
-        cosine = (total @ index.latent.T) / np.sqrt(np.maximum(square, 1e-9))[:, None]
-        at, passage = np.nonzero(cosine >= min_cosine)
-        out.append((at * BLOCK, np.minimum((at + width) * BLOCK, n), passage, cosine[at, passage]))
-    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
+        # No cosine passes the share of a window that lies in the latent space, so most windows need no comparison.
+        maybe = np.flatnonzero(np.einsum("ij,ij->i", total, total) >= min_cosine**2 * square)
+        if not len(maybe):
+            continue
+        cosine = (total[maybe] @ index.latent.T) / np.sqrt(np.maximum(square[maybe], 1e-9))[:, None]
+        row, passage = np.nonzero(cosine >= min_cosine)
+        at = maybe[row]
+        out.append((at * BLOCK, np.minimum((at + width) * BLOCK, n), passage, cosine[row, passage]))
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, int),) * 4
 
 
 def judge(words: list[bytes], a: int, b: int, passage: list[bytes], close: float, loose: float) -> tuple[float, bool, bool]:
@@ -209,7 +220,7 @@ def contaminated_pairs(
     index = Index(docs.sparkSession, [(k, t) for k, t in items if k is not None], df, n, rank)
 
     def step(batches):
-        memo: dict[bytes, int] = {}
+        memo = Slots()
         for batch in batches:
             out = {k: [] for k in ("doc_id", "item_id", "cosine", "share", "answer_found")}
             ids = batch.column("doc_id").to_pylist()
@@ -219,13 +230,7 @@ def contaminated_pairs(
                     continue
                 if len(memo) > MEMO_WORDS:
                     memo.clear()
-                try:
-                    slots = np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
-                except KeyError:
-                    for w in words:
-                        if w not in memo:
-                            memo[w] = slot_of(w.strip(STRIP))
-                    slots = np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
+                slots = np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
                 best: dict[int, tuple] = {}
                 a, b, p, c = find_candidates(slots, index, min_cosine)
                 if not len(p):
