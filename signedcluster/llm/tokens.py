@@ -5,11 +5,13 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import DataFrame
 
-from signedcluster.llm.common import doc_frame, map_rows, texts
+from signedcluster.llm.common import doc_frame, map_rows
 from signedcluster.shared import worker_cache
 
-#: Chunks remembered by a worker before it starts anew; bounds its memory.
-MEMO_CHUNKS = 300_000
+#: Words remembered by a worker before it starts anew; bounds its memory.
+MEMO_CHUNKS = 800_000
+#: Separators that are white space to Python and not to the tokenizers, or the other way round.
+ODD = "\x1c\x1d\x1e\x1f\x85\u180e\u200b\u2028\u2029"
 
 
 def tokenizer_file(name: str) -> str:
@@ -28,43 +30,68 @@ def _load(path: str):
 
 
 class ChunkEncoder:
-    """Encodes whole texts, remembering the ids of each chunk between single spaces.
+    """Encodes whole texts, remembering the ids of each word between spaces.
 
     Both files' pre-tokenizers never join across a space that follows a non-space, so a text's ids are those of its
-    chunks in order: ``keep_space`` chunks start with their space (byte-level), else spaces carry nothing (word ends).
-    A text with double spaces (where that matters), special-token openers or separators on which Unicode versions differ
-    is encoded in one call.
+    words in order: with ``keep_space`` a word starts with its space (byte-level), else white space carries nothing (word
+    ends). New words of many texts are encoded as one text and cut where their bytes end, which tokens never cross; if
+    the bytes do not add up, or a text has double spaces (where that matters), special-token openers or separators on
+    which Unicode versions differ, texts are encoded one by one.
     """
 
     def __init__(self, path: str, keep_space: bool, dtype: str):
         self.tokenizer, self.keep_space, self.dtype = _load(path), keep_space, np.dtype(dtype)
-        self.memo: dict[str, bytes] = {}
+        self.memo: dict[str, bytes] = worker_cache().setdefault(("memo", path, keep_space, dtype), {})
+        sizes = np.zeros(self.tokenizer.get_vocab_size(with_added_tokens=True), np.int64)
+        for token, k in self.tokenizer.get_vocab(with_added_tokens=True).items():
+            sizes[k] = len(token.removesuffix("</w>")) if not keep_space else len(token)
+        self.sizes = sizes
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
 
-    def encode(self, text: str | None) -> bytes:
-        if not text:
-            return b""
-        if "<|" in text or (self.keep_space and "  " in text) or not text.isprintable() and any(c in text for c in "\x1c\x1d\x1e\x1f\x85  "):
-            return self.whole(text)
-        parts = text.split(" ")
-        if self.keep_space:
-            first, parts = parts[0], [" " + p for p in parts[1:]]
-            if first:
-                parts.insert(0, first)
-        memo = self.memo
-        try:
-            return b"".join([memo[p] for p in parts])
-        except KeyError:
-            pass
-        new = list({p for p in parts if p not in memo})
-        if len(memo) + len(new) > MEMO_CHUNKS:
-            memo.clear()
-            new = list(set(parts))
-        for p, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            memo[p] = np.array(e.ids, self.dtype).tobytes()
-        return b"".join([memo[p] for p in parts])
+    def parts(self, text: str) -> list[str] | None:
+        """Words between spaces (the first of a byte-level text aside, which has no space), or None: encode it whole."""
+        if "<|" in text or (self.keep_space and "  " in text) or any(map(text.__contains__, ODD)):
+            return None
+        return text.split(" ") if self.keep_space else text.split()
+
+    def learn(self, new: list[str]) -> None:
+        """Remember the ids of words, with the space before them where spaces count."""
+        width = self.dtype.itemsize
+        for at in range(0, len(new), 2000):
+            some = new[at : at + 2000]
+            text = " " + " ".join(some)
+            shown = text if self.tokenizer.normalizer is None else " " + self.tokenizer.normalizer.normalize_str(text).strip(" ")
+            ids = np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.int64)
+            raw = np.frombuffer(shown.encode("utf-8", "surrogatepass"), np.uint8)
+            wanted = np.append(np.flatnonzero(raw == 32)[1:], len(raw))
+            if not self.keep_space:
+                wanted = wanted - np.arange(1, len(wanted) + 1)
+            ends = np.cumsum(self.sizes[ids])
+            cut = np.searchsorted(ends, wanted)
+            if len(wanted) != len(some) or not len(ids) or cut[-1] != len(ids) - 1 or (ends[np.minimum(cut, len(ids) - 1)] != wanted).any():
+                for p in some:
+                    self.memo[p] = self.whole(" " + p)
+                continue
+            packed = ids.astype(self.dtype).tobytes()
+            cut = ((cut + 1) * width).tolist()
+            self.memo.update(zip(some, map(packed.__getitem__, map(slice, [0, *cut[:-1]], cut)), strict=True))
+
+    def encode_all(self, texts: list[str | None]) -> list[bytes]:
+        parts = [self.parts(t) if t else [] for t in texts]
+        heads = [p.pop(0) if p and self.keep_space else "" for p in parts]
+        seen = set().union(*filter(None, parts))
+        new = [p for p in seen if p not in self.memo]
+        if len(self.memo) + len(new) > MEMO_CHUNKS:
+            self.memo.clear()
+            new = list(seen)
+        self.learn(new)
+        look = self.memo.__getitem__
+        return [
+            self.whole(t) if some is None else (self.whole(head) if head else b"") + b"".join(map(look, some))
+            for t, head, some in zip(texts, heads, parts, strict=True)
+        ]
 
 
 def token_table(docs: DataFrame, path: str, keep_space: bool, end_id: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -81,8 +108,10 @@ def token_table(docs: DataFrame, path: str, keep_space: bool, end_id: int, id_co
         coder = ChunkEncoder(path, keep_space, dtype)
         end = np.array([end_id], dtype).tobytes()
         for batch in batches:
-            ids = [coder.encode(t) + end for _, t in texts(batch)]
-            yield {"doc_id": batch.column("doc_id"), "n": [len(x) // np.dtype(dtype).itemsize for x in ids], "ids": ids}
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                ids = [x + end for x in coder.encode_all(part.column("text").to_pylist())]
+                yield {"doc_id": part.column("doc_id"), "n": [len(x) // np.dtype(dtype).itemsize for x in ids], "ids": ids}
 
     return map_rows(doc_frame(docs, id_col, text_col), step, "doc_id long, n long, ids binary")
 
