@@ -123,11 +123,12 @@ class Index:
             sparse.append((self.dim[held].astype("<u4"), w, float(np.linalg.norm(w))))
         rank = max(1, min(rank, len(found), len(used)))
         if not found:
-            self.basis = np.zeros((0, 1), np.float32)
+            self.basis = self.weighted = np.zeros((0, 1), np.float32)
             self.latent = np.zeros((0, 1), np.float32)
             return
         rows = spark.createDataFrame([(d.tobytes(), (w / n).tobytes()) for d, w, n in sparse], "dims binary, weights binary")
         self.basis = randomised_svd(rows, len(used), rank).astype(np.float32)
+        self.weighted = self.basis * self.idf[used][:, None]
         self.latent = np.array([(w / n) @ self.basis[d] for d, w, n in sparse], np.float32)
         self.latent /= np.maximum(np.linalg.norm(self.latent, axis=1, keepdims=True), 1e-9)
 
@@ -162,7 +163,7 @@ def find_candidates(slots: np.ndarray, index: Index, min_cosine: float) -> tuple
         return (np.zeros(0, int),) * 4
     block = block[own]
     first = np.flatnonzero(np.r_[True, block[1:] != block[:-1]])
-    low[block[first]] = np.add.reduceat(index.basis[dims[own]] * weight[own][:, None], first)
+    low[block[first]] = np.add.reduceat(index.weighted[dims[own]], first)
     out = []
     for width in (2, 4):
         count = max(len(edges) - width + 1, 1)
