@@ -10,7 +10,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from signedcluster.llm.common import doc_frame, map_rows, texts
+from signedcluster.llm.common import bounded_sample, doc_frame, map_rows, texts
 
 SLOTS = 1 << 14
 LABELLERS = ("symbols", "capitals", "distinct", "commonest", "lines", "word_length", "length", "shouting", "digits")
@@ -114,7 +114,7 @@ def train_linear(rows: list[tuple[np.ndarray, np.ndarray, float]], epochs: int =
 
 def learn(docs: DataFrame, train_rows: int = 6000, id_col: str = "doc_id", text_col: str = "text"):
     """(share, accuracy table, weights). Vote patterns are counted over all texts (there are at most 3^9 of them); the
-    linear scorer is fitted on at most ``train_rows`` texts, the first by a hash of the id. None on an empty table."""
+    linear scorer is fitted on at most ``train_rows`` texts, chosen by a hash. None on an empty table."""
     frame = doc_frame(docs, id_col, text_col)
 
     def vote(batches):
@@ -130,7 +130,7 @@ def learn(docs: DataFrame, train_rows: int = 6000, id_col: str = "doc_id", text_
     found = sorted(map(tuple, found))
     patterns = np.array([[int(c) for c in p] for p, _ in found])
     share, table = fit_accuracies(patterns, np.array([n for _, n in found], float))
-    sample = frame.orderBy(F.xxhash64("doc_id"), "doc_id").limit(train_rows)
+    sample = bounded_sample(frame, train_rows)
 
     def features(batches):
         for batch in batches:
