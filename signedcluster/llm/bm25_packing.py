@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from signedcluster.llm.common import map_rows
-from signedcluster.llm.tokens import id_counts, id_type, token_table, tokenizer_file, vocabulary_size
+from signedcluster.llm.tokens import Distinct, id_arrays, id_counts, id_type, token_table, tokenizer_file, vocabulary_size
 from signedcluster.shared import materialize
 
 PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -139,13 +139,15 @@ def pack_documents(
             yield out
 
     def rest(batches):
+        distinct = Distinct(size)
         for batch in batches:
             out = {"doc_id": [], "n": [], "tail": [], "terms": [], "counts": []}
-            for d, n, ids in zip(batch.column("doc_id").to_pylist(), batch.column("n").to_pylist(), batch.column("ids"), strict=True):
+            all_ids, edges = id_arrays(batch.column("ids"), dtype)
+            for d, n, a in zip(batch.column("doc_id").to_pylist(), batch.column("n").to_pylist(), edges[:-1].tolist(), strict=True):
                 if n % window == 0:
                     continue
-                ids = np.frombuffer(ids.as_py(), dtype)
-                terms, counts = np.unique(ids, return_counts=True)
+                ids = all_ids[a : a + n]
+                terms, counts = distinct(ids)
                 keep = indexed[terms]
                 out["doc_id"].append(d)
                 out["n"].append(n)

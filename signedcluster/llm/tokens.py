@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from signedcluster.llm.common import doc_frame, map_rows
@@ -10,6 +14,8 @@ from signedcluster.shared import worker_cache
 
 #: Words remembered by a worker before it starts anew; bounds its memory.
 MEMO_CHUNKS = 800_000
+#: Text that is cut into words at once.
+SLICE_BYTES = 8 << 20
 #: Separators that are white space to Python and not to the tokenizers, or the other way round.
 ODD = "\x1c\x1d\x1e\x1f\x85\u180e\u200b\u2028\u2029"
 
@@ -29,6 +35,11 @@ def _load(path: str):
     return cache[path]
 
 
+def offsets_of(column: pa.Array) -> np.ndarray:
+    """Where the values of a binary column start in its data, and the end of the last."""
+    return np.frombuffer(column.buffers()[1], np.int32, len(column) + 1, column.offset * 4) if len(column) else np.zeros(1, np.int32)
+
+
 class ChunkEncoder:
     """Encodes whole texts, remembering the ids of each word between spaces.
 
@@ -50,15 +61,16 @@ class ChunkEncoder:
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
 
-    def parts(self, text: str) -> list[str] | None:
-        """Words between spaces (the first of a byte-level text aside, which has no space), or None: encode it whole."""
-        if "<|" in text or (self.keep_space and "  " in text) or any(map(text.__contains__, ODD)):
-            return None
-        return text.split(" ") if self.keep_space else text.split()
+    def odd(self, texts: pa.Array) -> np.ndarray:
+        """Which texts are not cut at spaces but encoded whole."""
+        found = pc.or_(pc.match_substring(texts, "<|"), pc.match_substring_regex(texts, f"[{ODD}]"))
+        if self.keep_space:
+            found = pc.or_(found, pc.match_substring(texts, "  "))
+        return found.to_numpy(zero_copy_only=False)
 
-    def learn(self, new: list[str]) -> None:
-        """Remember the ids of words, with the space before them where spaces count."""
-        width = self.dtype.itemsize
+    def learn(self, new: list[str]) -> list[bytes]:
+        """Ids of words, with the space before them where spaces count; remembered."""
+        width, out = self.dtype.itemsize, []
         for at in range(0, len(new), 2000):
             some = new[at : at + 2000]
             text = " " + " ".join(some)
@@ -71,27 +83,58 @@ class ChunkEncoder:
             ends = np.cumsum(self.sizes[ids])
             cut = np.searchsorted(ends, wanted)
             if len(wanted) != len(some) or not len(ids) or cut[-1] != len(ids) - 1 or (ends[np.minimum(cut, len(ids) - 1)] != wanted).any():
-                for p in some:
-                    self.memo[p] = self.whole(" " + p)
+                out += [self.whole(" " + p) for p in some]
                 continue
             packed = ids.astype(self.dtype).tobytes()
             cut = ((cut + 1) * width).tolist()
-            self.memo.update(zip(some, map(packed.__getitem__, map(slice, [0, *cut[:-1]], cut)), strict=True))
-
-    def encode_all(self, texts: list[str | None]) -> list[bytes]:
-        parts = [self.parts(t) if t else [] for t in texts]
-        heads = [p.pop(0) if p and self.keep_space else "" for p in parts]
-        seen = set().union(*filter(None, parts))
-        new = [p for p in seen if p not in self.memo]
+            out += map(packed.__getitem__, map(slice, [0, *cut[:-1]], cut))
+        self.memo.update(zip(new, out, strict=True))
+        return out
+
+    def encode_all(self, texts: pa.Array, end: bytes = b"") -> pa.Array:
+        """Binaries of the ids of each text, with ``end`` after them.
+
+        Words are numbered by Arrow; only distinct ones meet Python. A text that is encoded whole, and the first word of a
+        byte-level text (which has no space before it), are entries of their own.
+        """
+        texts = pc.fill_null(texts, "")
+        odd = self.odd(texts)
+        whole = [texts[int(k)].as_py() for k in np.flatnonzero(odd)]
+        if whole:
+            texts = pc.if_else(pa.array(odd), "", texts)
+        split = pc.split_pattern(texts, " ") if self.keep_space else pc.utf8_split_whitespace(texts)
+        edges = split.offsets.to_numpy().astype(np.int64)
+        words = split.flatten().dictionary_encode()
+        seen = words.dictionary.to_numpy(zero_copy_only=False).tolist()
+        at = words.indices.to_numpy().astype(np.int32)
+        ids = list(map(self.memo.get, seen))
+        new = [k for k, v in enumerate(ids) if v is None]
         if len(self.memo) + len(new) > MEMO_CHUNKS:
             self.memo.clear()
-            new = list(seen)
-        self.learn(new)
-        look = self.memo.__getitem__
-        return [
-            self.whole(t) if some is None else (self.whole(head) if head else b"") + b"".join(map(look, some))
-            for t, head, some in zip(texts, heads, parts, strict=True)
-        ]
+        for k, v in zip(new, self.learn([seen[k] for k in new]), strict=True):
+            ids[k] = v
+        own = [self.whole(t) for t in whole]
+        if self.keep_space:
+            heads, which = np.unique(at[edges[:-1]], return_inverse=True)
+            at[edges[:-1]] = len(seen) + which
+            found = self.tokenizer.encode_batch_fast([seen[k] for k in heads.tolist()], add_special_tokens=False)
+            own = [np.array(e.ids, self.dtype).tobytes() for e in found] + own
+        at[edges[:-1][odd]] = len(seen) + len(own) - len(whole) + np.arange(len(whole))
+        at = np.insert(at, edges[1:], len(seen) + len(own))
+        edges += np.arange(len(edges))
+        ids = pa.array([*ids, *own, end], pa.binary()).take(pa.array(at))
+        offsets = offsets_of(ids)[edges]
+        return pa.BinaryArray.from_buffers(pa.binary(), len(texts), [None, pa.py_buffer(offsets), ids.buffers()[2]])
+
+
+def by_bytes(batch: pa.RecordBatch, column: str) -> Iterator[pa.RecordBatch]:
+    """Slices of about ``SLICE_BYTES`` of ``column``; a longer value is a slice of its own."""
+    sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy().astype(np.int64)
+    part = (np.cumsum(sizes) - sizes) // SLICE_BYTES
+    cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), batch.num_rows]
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        if b > a:
+            yield batch.slice(a, b - a)
 
 
 def token_table(docs: DataFrame, path: str, keep_space: bool, end_id: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -108,10 +151,9 @@ def token_table(docs: DataFrame, path: str, keep_space: bool, end_id: int, id_co
         coder = ChunkEncoder(path, keep_space, dtype)
         end = np.array([end_id], dtype).tobytes()
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
-                ids = [x + end for x in coder.encode_all(part.column("text").to_pylist())]
-                yield {"doc_id": part.column("doc_id"), "n": [len(x) // np.dtype(dtype).itemsize for x in ids], "ids": ids}
+            for part in by_bytes(batch, "text"):
+                ids = coder.encode_all(part.column("text"), end)
+                yield {"doc_id": part.column("doc_id"), "n": np.diff(offsets_of(ids)) // coder.dtype.itemsize, "ids": ids}
 
     return map_rows(doc_frame(docs, id_col, text_col), step, "doc_id long, n long, ids binary")
 
@@ -124,18 +166,43 @@ def id_type(path: str) -> str:
     return "<u2" if vocabulary_size(path) <= 1 << 16 else "<u4"
 
 
+def id_arrays(column: pa.Array, dtype: str) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of all rows of a binary column, and where each row starts (with the end after the last)."""
+    edges = offsets_of(column).astype(np.int64)
+    width = np.dtype(dtype).itemsize
+    total = int(edges[-1] - edges[0])
+    ids = np.frombuffer(column.buffers()[2], dtype, total // width, int(edges[0])) if total else np.zeros(0, dtype)
+    return ids, (edges - edges[0]) // width
+
+
+class Distinct:
+    """Distinct ids of a document, each at its last place, without sorting."""
+
+    def __init__(self, size: int):
+        self.place = np.zeros(size, np.int64)
+
+    def __call__(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(distinct ids, occurrences of each)."""
+        at = np.arange(len(ids))
+        self.place[ids] = at
+        last = self.place[ids]
+        kept = np.flatnonzero(last == at)
+        return ids[kept], np.bincount(last, minlength=len(ids))[kept]
+
+
 def id_counts(tokens: DataFrame, dtype: str, size: int, per_document: bool) -> np.ndarray:
     """Occurrences of each id (or documents that hold it). ``size`` is the vocabulary's, which bounds what is gathered."""
 
     def step(batches):
         total = np.zeros(size, np.int64)
+        distinct = Distinct(size)
         for batch in batches:
-            for ids in batch.column("ids"):
-                ids = np.frombuffer(ids.as_py(), dtype)
-                if per_document:
-                    total[np.unique(ids)] += 1
-                else:
-                    np.add.at(total, ids, 1) if len(ids) < size // 8 else np.add(total, np.bincount(ids, minlength=size), out=total)
+            ids, edges = id_arrays(batch.column("ids"), dtype)
+            if per_document:
+                for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+                    total[distinct(ids[a:b])[0]] += 1
+            else:
+                total += np.bincount(ids, minlength=size)
         held = np.flatnonzero(total)
         yield {"id": held, "n": total[held]}
 
