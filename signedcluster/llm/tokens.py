@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from signedcluster.llm.common import doc_frame, map_rows
 from signedcluster.shared import worker_cache
 
-#: Words remembered by a worker before it starts anew; bounds its memory.
+#: Words remembered by a task before it starts anew; bounds its memory.
 MEMO_CHUNKS = 600_000
 #: Text that is cut into words at once.
 SLICE_BYTES = 4 << 20
@@ -74,7 +74,7 @@ class ChunkEncoder:
 
     def __init__(self, path: str, keep_space: bool, dtype: str):
         self.tokenizer, self.keep_space, self.dtype = _load(path), keep_space, np.dtype(dtype)
-        self.memo: dict[str, bytes] = worker_cache().setdefault(("memo", path, keep_space, dtype), {})
+        self.memo: dict[str, bytes] = {}
         sizes = np.zeros(self.tokenizer.get_vocab_size(with_added_tokens=True), np.int64)
         for token, k in self.tokenizer.get_vocab(with_added_tokens=True).items():
             sizes[k] = len(token.removesuffix("</w>")) if not keep_space else len(token)
