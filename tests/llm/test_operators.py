@@ -345,3 +345,26 @@ def test_pipeline_stages(spark):
         docs = kept
     packed = corpus_pipeline.STAGES[-1][1](spark, docs, folder)
     assert {r[0] for r in packed.select("doc_id").collect()} == {r[0] for r in docs.select("doc_id").collect()}
+
+
+#: Spaces, signs and separators at which a cut between words could go wrong.
+AWKWARD = [
+    None, "", " ", "a", "a ", " a", "  ", "a  b", "a\n b", "a \nb", "x　y", "<|endoftext|> b", "\x1c a", "É b É", "a\tb  c\n",
+    "..a b..", "日本 語", "İ x", "á b́", "don't. 's 'S", "a.b. a!. é. a. b, .", "a.", "a.\n b", "1. a:. b;", ".", "x. ",
+    "I'S. 's. '. a'", "ﬁ ﬁ.",
+]
+
+
+def test_words_by_arrow_give_the_ids_of_whole_texts():
+    import pyarrow as pa
+
+    from signedcluster.llm import tokens
+
+    for name, keep_space in (("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)):
+        path = tokens.tokenizer_file(name)
+        coder = tokens.ChunkEncoder(path, keep_space, tokens.id_type(path))
+        texts = [*AWKWARD, " ".join(t for t in AWKWARD if t and "<|" not in t)]
+        for some in (texts, texts[:1], texts[::-1], [t for t in texts for _ in range(2)], []):
+            got = coder.encode_all(pa.array(some, pa.string()))
+            for text, ids in zip(some, got.to_pylist(), strict=True):
+                assert ids == coder.whole(text or "")
