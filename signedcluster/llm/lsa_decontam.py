@@ -14,6 +14,7 @@ from signedcluster.llm.common import doc_frame, map_rows, texts, words_of
 SLOTS = 1 << 18
 PART = 1 << 12
 BLOCK = 16
+NUMBERS = 1 << 21
 MEMO_WORDS = 400_000
 STRIP = b".,;:!?\"'()[]{}"
 
@@ -80,32 +81,45 @@ def passages(items: list[tuple[int, str | None]], words: int = 64) -> Iterator[t
                 yield item, all_words[a:b]
 
 
-def randomised_svd(rows: DataFrame, width: int, rank: int, rounds: int = 3, seed: int = 3) -> np.ndarray:
-    """Right singular vectors (width x rank) of the sparse matrix ``rows(dims binary u4, weights binary f4)``.
-
-    Each pass sends the current basis to the tasks; a task returns the sum of its rows' outer products with their images,
-    so only width x rank numbers per task move, however many rows there are.
-    """
+def randomised_svd(dims: list[np.ndarray], weights: list[np.ndarray], width: int, rank: int, rounds: int = 3, seed: int = 3) -> np.ndarray:
+    """Right singular vectors (width x rank) of the sparse matrix with these rows."""
     basis = np.linalg.qr(np.random.default_rng(seed).standard_normal((width, rank)))[0]
     for _ in range(rounds):
-
-        def step(batches, basis=basis):
-            total = np.zeros(basis.shape)
-            for batch in batches:
-                for dims, weights in zip(batch.column("dims").to_pylist(), batch.column("weights").to_pylist(), strict=True):
-                    d, w = np.frombuffer(dims, "<u4"), np.frombuffer(weights, "<f4").astype(float)
-                    total[d] += w[:, None] * (w @ basis[d])
-            yield {"total": [total.tobytes()]}
-
         total = np.zeros(basis.shape)
-        for r in map_rows(rows, step, "total binary").toLocalIterator():
-            total += np.frombuffer(bytes(r[0])).reshape(basis.shape)
+        for d, w in zip(dims, weights, strict=True):
+            total[d] += w[:, None] * (w @ basis[d])
         basis = np.linalg.qr(total + 1e-9 * basis)[0]
     return basis
 
 
+def block_bases(spark, blocks: list[tuple[np.ndarray, list[np.ndarray], list[np.ndarray]]]) -> list[np.ndarray]:
+    """A basis for each block ``(slots, dims of its passages, weights)``, one block to a row, so each is factored by a task.
+
+    The rank is the number of passages, so that a passage keeps its whole norm however many blocks there are.
+    """
+    rows = [(k, len(used), [len(d) for d in dims], np.concatenate(dims).astype("<u4").tobytes(), np.concatenate(weights).astype("<f4").tobytes()) for k, (used, dims, weights) in enumerate(blocks)]
+    frame = spark.createDataFrame(rows, "block int, width int, sizes array<int>, dims binary, weights binary").repartition(max(1, min(len(rows), 64)))
+
+    def step(batches):
+        for batch in batches:
+            for block, width, sizes, dims, weights in zip(*(batch.column(k).to_pylist() for k in ("block", "width", "sizes", "dims", "weights")), strict=True):
+                cuts = np.cumsum(sizes)[:-1]
+                d, w = np.split(np.frombuffer(dims, "<u4"), cuts), np.split(np.frombuffer(weights, "<f4").astype(float), cuts)
+                yield {"block": [block], "basis": [randomised_svd(d, w, width, min(len(sizes), width)).astype("<f4").tobytes()]}
+
+    out = [np.zeros((0, 1), np.float32)] * len(blocks)
+    for block, basis in map_rows(frame, step, "block int, basis binary").toLocalIterator():
+        out[block] = np.frombuffer(bytes(basis), "<f4").reshape(len(blocks[block][0]), -1)
+    return out
+
+
 class Index:
-    """Latent passages of the benchmark, and what is needed to bring documents into the same space."""
+    """Latent passages of the benchmark, and what is needed to bring documents into the same spaces.
+
+    Passages are cut into blocks of at most ``rank``, each with a basis of its own. The rows of all bases lie in one matrix
+    by word: those of dimension d are ``start[d]`` to ``start[d + 1]``, ``block`` names the space of each. ``latent`` has a
+    block's passages, ``first`` the number of the first of them, ``kept`` each passage's share of norm in its space.
+    """
 
     def __init__(self, spark, benchmark: list[tuple[int, str | None]], df: np.ndarray, docs: int, rank: int):
         found = sorted(passages(benchmark))
@@ -116,21 +130,37 @@ class Index:
         used = np.unique(np.concatenate(slots)) if slots else np.zeros(0, int)
         self.dim = np.full(SLOTS, -1, np.int32)
         self.dim[used] = np.arange(len(used))
-        sparse = []
-        for s in slots:
-            held, tf = np.unique(s, return_counts=True)
-            w = (self.idf[held] * tf).astype("<f4")
-            sparse.append((self.dim[held].astype("<u4"), w, float(np.linalg.norm(w))))
-        rank = max(1, min(rank, len(found), len(used)))
+        self.first, self.latent, self.kept = [0], [], np.zeros(0)
         if not found:
-            self.basis = self.weighted = np.zeros((0, 1), np.float32)
-            self.latent = np.zeros((0, 1), np.float32)
+            self.start, self.block, self.weighted = np.zeros(1, np.int64), np.zeros(0, np.int64), np.zeros((0, 1), np.float32)
             return
-        rows = spark.createDataFrame([(d.tobytes(), (w / n).tobytes()) for d, w, n in sparse], "dims binary, weights binary")
-        self.basis = randomised_svd(rows, len(used), rank).astype(np.float32)
-        self.weighted = self.basis * self.idf[used][:, None]
-        self.latent = np.array([(w / n) @ self.basis[d] for d, w, n in sparse], np.float32)
-        self.latent /= np.maximum(np.linalg.norm(self.latent, axis=1, keepdims=True), 1e-9)
+        blocks = []
+        for part in np.array_split(np.arange(len(found)), -(-len(found) // rank)):
+            own = np.unique(np.concatenate([slots[k] for k in part]))
+            dims, weights = [], []
+            for k in part:
+                held, tf = np.unique(slots[k], return_counts=True)
+                w = self.idf[held] * tf
+                dims.append(np.searchsorted(own, held))
+                weights.append((w / np.linalg.norm(w)).astype("<f4"))
+            blocks.append((own, dims, weights))
+            self.first.append(self.first[-1] + len(part))
+        bases = block_bases(spark, blocks)
+        for (_, dims, weights), basis in zip(blocks, bases, strict=True):
+            latent = np.array([w @ basis[d] for d, w in zip(dims, weights, strict=True)], np.float32)
+            norm = np.linalg.norm(latent, axis=1, keepdims=True)
+            self.kept = np.append(self.kept, norm)
+            self.latent.append(latent / np.maximum(norm, 1e-9))
+        dim = np.concatenate([self.dim[own] for own, _, _ in blocks])
+        order = np.argsort(dim, kind="stable")
+        self.block = np.repeat(np.arange(len(blocks)), [len(own) for own, _, _ in blocks])[order]
+        self.start = np.searchsorted(dim[order], np.arange(len(used) + 1))
+        stacked = np.zeros((len(dim), max(x.shape[1] for x in bases)), np.float32)
+        at = 0
+        for (own, _, _), basis in zip(blocks, bases, strict=True):
+            stacked[at : at + len(own), : basis.shape[1]] = basis * self.idf[own][:, None]
+            at += len(own)
+        self.weighted = stacked[order]
 
 
 def longest_common_subsequence(a: list[bytes], b: list[bytes]) -> int:
@@ -149,8 +179,23 @@ def longest_common_subsequence(a: list[bytes], b: list[bytes]) -> int:
 
 
 def find_candidates(slots: np.ndarray, index: Index, min_cosine: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first word, word after the last, passage, cosine) of windows near a benchmark passage, for one text's slots."""
-    n = len(slots)
+    """(first word, word after the last, passage, cosine) of windows near a benchmark passage, for one text's slots.
+
+    A long text goes in stretches that overlap by a window, so that memory does not grow with it or with the passages.
+    """
+    edges = -(-len(slots) // BLOCK)
+    stretch = max(16, NUMBERS // max(len(index.latent) * index.weighted.shape[1], 1))
+    out = []
+    for at in range(0, max(edges - 3, 1), stretch):
+        last = at + stretch >= edges - 3
+        found = candidates_within(slots[at * BLOCK : None if last else (at + stretch + 3) * BLOCK], index, min_cosine)
+        if len(found[0]):
+            out.append((found[0] + at * BLOCK, found[1] + at * BLOCK, *found[2:]))
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, int),) * 4
+
+
+def candidates_within(slots: np.ndarray, index: Index, min_cosine: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    n, spaces = len(slots), len(index.latent)
     edges = np.arange(0, n, BLOCK)
     # A word counts once in a block, so that a text that repeats one word is no longer than its weight.
     block, slots = np.divmod(np.unique(np.arange(n) // BLOCK * SLOTS + slots), SLOTS)
@@ -158,27 +203,36 @@ def find_candidates(slots: np.ndarray, index: Index, min_cosine: float) -> tuple
     dims = index.dim[slots]
     norm = np.bincount(block, weight.astype(np.float64) ** 2, len(edges))
     own = np.flatnonzero(dims >= 0)
-    low = np.zeros((len(edges), index.basis.shape[1]), np.float32)
     if not len(own):
         return (np.zeros(0, int),) * 4
-    block = block[own]
-    first = np.flatnonzero(np.r_[True, block[1:] != block[:-1]])
-    low[block[first]] = np.add.reduceat(index.weighted[dims[own]], first)
+    # Each word has a row in every space whose passages hold it.
+    begin = index.start[dims[own]]
+    times = index.start[dims[own] + 1] - begin
+    rows = np.repeat(begin - np.cumsum(times) + times, times) + np.arange(times.sum())
+    place = index.block[rows] * len(edges) + np.repeat(block[own], times)
+    if spaces > 1:
+        order = np.argsort(place, kind="stable")
+        place, rows = place[order], rows[order]
+    first = np.flatnonzero(np.r_[True, place[1:] != place[:-1]])
+    low = np.zeros((spaces * len(edges), index.weighted.shape[1]), np.float32)
+    low[place[first]] = np.add.reduceat(index.weighted[rows], first)
+    low = low.reshape(spaces, len(edges), -1)
     out = []
     for width in (2, 4):
         count = max(len(edges) - width + 1, 1)
-        total, square = np.zeros((count, low.shape[1]), np.float32), np.zeros(count)
+        total, square = np.zeros((spaces, count, low.shape[2]), np.float32), np.zeros(count)
         for k in range(min(width, len(edges))):
-            total += low[k : k + count]
+            total += low[:, k : k + count]
             square += norm[k : k + count]
         # No cosine passes the share of a window that lies in the latent space, so most windows need no comparison.
-        maybe = np.flatnonzero(np.einsum("ij,ij->i", total, total) >= min_cosine**2 * square)
-        if not len(maybe):
-            continue
-        cosine = (total[maybe] @ index.latent.T) / np.sqrt(np.maximum(square[maybe], 1e-9))[:, None]
-        row, passage = np.nonzero(cosine >= min_cosine)
-        at = maybe[row]
-        out.append((at * BLOCK, np.minimum((at + width) * BLOCK, n), passage, cosine[row, passage]))
+        space, maybe = np.nonzero(np.einsum("sij,sij->si", total, total) >= min_cosine**2 * square)
+        for s in np.unique(space).tolist():
+            here = maybe[space == s]
+            latent = index.latent[s]
+            cosine = (total[s, here, : latent.shape[1]] @ latent.T) / np.sqrt(np.maximum(square[here], 1e-9))[:, None]
+            row, passage = np.nonzero(cosine >= min_cosine)
+            at = here[row]
+            out.append((at * BLOCK, np.minimum((at + width) * BLOCK, n), passage + index.first[s], cosine[row, passage]))
     return tuple(np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, int),) * 4
 
 
@@ -210,8 +264,9 @@ def contaminated_pairs(
     """``(doc_id, item_id, cosine, share, answer_found)`` of documents that hold a benchmark passage or a paraphrase.
 
     The benchmark is the query side and is held by the driver and the tasks: its size (rows of item text) is the bound.
-    Document frequencies are of all documents. Passages of the benchmark are factored by a distributed randomised SVD of
-    their TF-IDF matrix; overlapping windows of 32 and 64 words of each whole document are projected on it and compared
+    Document frequencies are of all documents. Passages of the benchmark are cut into blocks of at
+    most ``rank``, each factored by a randomised SVD of its TF-IDF matrix at full rank, so that more passages make more
+    spaces and none loses norm; overlapping windows of 32 and 64 words of each whole document are projected on it and compared
     by cosine; candidates then pass the checks of :func:`judge` on the words themselves. One row for each pair, the best
     window. Null and empty texts and items match nothing; items of null id are kept as their own null item.
     """

@@ -368,3 +368,20 @@ def test_words_by_arrow_give_the_ids_of_whole_texts():
             got = coder.encode_all(pa.array(some, pa.string()))
             for text, ids in zip(some, got.to_pylist(), strict=True):
                 assert ids == coder.whole(text or "")
+
+
+def test_decontamination_finds_each_of_many_passages(spark):
+    draw = np.random.default_rng(9)
+    words = [f"w{int(20000 * draw.random() ** 2)}x" for _ in range(60000)]
+    items = [(k, " ".join(words[20 * k : 20 * k + 20])) for k in range(2500)]
+    rows = [(k, " ".join([*words[50000 + 40 * k : 50020 + 40 * k], items[11 * k][1], *words[50020 + 40 * k : 50040 + 40 * k]])) for k in range(220)]
+    docs, bench = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]) for r in lsa_decontam.contaminated_pairs(docs, bench).collect()}
+    assert {(k, 11 * k) for k in range(220)} <= got
+    df, n = lsa_decontam.document_frequencies(docs)
+    index = lsa_decontam.Index(spark, items, df, n, 96)
+    assert len(index.latent) > 20 and index.kept.min() > 0.999
+    slots = np.array([lsa_decontam.slot_of(w) for w in lsa_decontam.words_of(" ".join(t for _, t in rows[:40]))])
+    whole = lsa_decontam.candidates_within(slots, index, 0.25)
+    parts = lsa_decontam.find_candidates(slots, index, 0.25)
+    assert {x[:3] for x in zip(*map(np.ndarray.tolist, whole), strict=True)} == {x[:3] for x in zip(*map(np.ndarray.tolist, parts), strict=True)}
