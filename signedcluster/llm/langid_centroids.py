@@ -12,6 +12,8 @@ from signedcluster.llm.common import LETTER, doc_frame, map_rows, texts
 
 DIMS = 4096
 CHUNK = 1 << 20
+#: Lengths are told apart by powers of two of their trigrams; the shortest beginning of a text has so many letters.
+LEVELS, SHORTEST = 24, 12
 TO_SPACE = bytes(b if b >= 128 or 97 <= b <= 122 else 32 for b in range(256))
 
 
@@ -38,6 +40,26 @@ class Centroids:
     owner: np.ndarray
     rows: np.ndarray
     idf: np.ndarray
+    least: np.ndarray
+
+
+def levels(counts: np.ndarray) -> np.ndarray:
+    return np.clip(np.log2(np.maximum(counts.sum(1), 1)).astype(int), 0, LEVELS - 1)
+
+
+def least_cosines(close: np.ndarray, level: np.ndarray, low: float, fewest: int = 20) -> np.ndarray:
+    """(centroid x level) ``low`` quantile of the cosines of a centroid's own members of that length or half of it.
+
+    A longer text is nearer to its centroid, so a level with fewer than ``fewest`` members takes what holds for shorter ones.
+    """
+    best, near = close.argmax(1), close.max(1)
+    out = np.zeros((close.shape[1], LEVELS), np.float32)
+    for j in range(len(out)):
+        for k in range(LEVELS):
+            mine = near[(best == j) & ((level == k) | (level == k - 1))]
+            if len(mine) >= fewest:
+                out[j, k] = np.quantile(mine, low)
+    return np.maximum.accumulate(out, axis=1)
 
 
 def spherical_kmeans(rows: np.ndarray, k: int, rounds: int = 12) -> np.ndarray:
@@ -53,10 +75,11 @@ def spherical_kmeans(rows: np.ndarray, k: int, rounds: int = 12) -> np.ndarray:
     return centre / np.maximum(np.linalg.norm(centre, axis=1, keepdims=True), 1e-12)
 
 
-def fit(train: DataFrame, per_language: int = 1000, clusters: int = 4) -> Centroids | None:
+def fit(train: DataFrame, per_language: int = 1000, clusters: int = 4, low: float = 0.005) -> Centroids | None:
     """``train(doc_id, text, lang)``. Document frequencies are of all its rows; centroids are fitted on about
     ``per_language`` rows of each language, chosen by a hash of the id, so what reaches the driver has a bound.
-    Null and empty texts are left out. Returns None when nothing can be learned."""
+    The least cosine at which a text is kept is the ``low`` quantile of a centroid's members of its length, the members
+    being the chosen texts and their beginnings. Null and empty texts are left out. Returns None when nothing can be learned."""
     train = train.where("lang is not null and text is not null and text <> ''")
 
     def frequencies(batches):
@@ -78,35 +101,58 @@ def fit(train: DataFrame, per_language: int = 1000, clusters: int = 4) -> Centro
 
     def features(batches):
         for batch in batches:
-            found = [trigram_counts(t) for _, t in texts(batch)]
-            dims = [np.flatnonzero(c) for c in found]
-            yield {
-                "lang": batch.column("lang"),
-                "dims": [d.astype("<u2").tobytes() for d in dims],
-                "counts": [np.minimum(c[d], 65535).astype("<u2").tobytes() for c, d in zip(found, dims, strict=True)],
-            }
+            out = {k: [] for k in ("lang", "whole", "dims", "counts")}
+            languages = batch.column("lang").to_pylist()
+            for row, t in texts(batch):
+                for k in range(LEVELS):
+                    part = t[: SHORTEST << k]
+                    whole = len(part) == len(t)
+                    if whole or LETTER.search(part):
+                        c = trigram_counts(part)
+                        dims = np.flatnonzero(c)
+                        for name, v in zip(out, (languages[row], whole, dims.astype("<u2").tobytes(), np.minimum(c[dims], 65535).astype("<u2").tobytes()), strict=True):
+                            out[name].append(v)
+                    if whole:
+                        break
+            yield out
+
+    def dense(mine):
+        out = np.zeros((len(mine), DIMS), np.float32)
+        for row, (dims, n) in zip(out, mine, strict=True):
+            row[np.frombuffer(dims, "<u2")] = np.frombuffer(n, "<u2")
+        return out
 
     by_language: dict[str, list] = {}
-    for lang, dims, n in map_rows(chosen, features, "lang string, dims binary, counts binary").collect():
-        by_language.setdefault(lang, []).append((bytes(dims), bytes(n)))
+    parts = []
+    for lang, whole, dims, n in map_rows(chosen, features, "lang string, whole boolean, dims binary, counts binary").toLocalIterator():
+        parts.append((bytes(dims), bytes(n)))
+        if whole:
+            by_language.setdefault(lang, []).append(parts[-1])
     rows, owner = [], []
     languages = sorted(by_language)
     for k, lang in enumerate(languages):
         mine = sorted(by_language[lang])
-        dense = np.zeros((len(mine), DIMS), np.float32)
-        for row, (dims, n) in zip(dense, mine, strict=True):
-            row[np.frombuffer(dims, "<u2")] = np.frombuffer(n, "<u2")
-        centre = spherical_kmeans(unit_rows(dense, idf), clusters)
+        centre = spherical_kmeans(unit_rows(dense(mine), idf), clusters)
         rows.append(centre)
         owner += [k] * len(centre)
-    return Centroids(languages, np.array(owner), np.concatenate(rows).astype(np.float32), idf)
+    centres = np.concatenate(rows).astype(np.float32)
+    close, level = [], []
+    for at in range(0, len(parts), 256):
+        held_part = dense(parts[at : at + 256])
+        # A text without a letter is rejected before any distance.
+        held_part = held_part[held_part.sum(1) > 0]
+        close.append(unit_rows(held_part, idf) @ centres.T)
+        level.append(levels(held_part))
+    least = least_cosines(np.concatenate(close), np.concatenate(level), low)
+    return Centroids(languages, np.array(owner), centres, idf, least)
 
 
 def predict(docs: DataFrame, model: Centroids | None, max_distance: float = 0.98, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, lang_pred, score, rejected`` of every row, ``score`` the cosine with the nearest centroid (0 to 1).
 
     A text that is null or has no letter is ``und``, score 0 and rejected. Others get the language of the nearest
-    centroid; they are rejected when its distance (1 - cosine) is above ``max_distance``. Ties go to the first language
+    centroid; they are rejected when its distance (1 - cosine) is above ``max_distance``, or above what is usual for
+    the centroid's own members of that length (see :func:`fit`). Ties go to the first language
     by name. Without a model everything is ``und``.
     """
     frame = doc_frame(docs, id_col, text_col)
@@ -114,12 +160,14 @@ def predict(docs: DataFrame, model: Centroids | None, max_distance: float = 0.98
     def step(batches):
         for batch in batches:
             n = batch.num_rows
-            lang, score = ["und"] * n, np.zeros(n)
+            lang, score, least = ["und"] * n, np.zeros(n), np.full(n, 1 - max_distance)
             held, at = [], []
 
             def flush():
-                close = unit_rows(np.array(held), model.idf) @ model.rows.T
+                counts = np.array(held)
+                close = unit_rows(counts, model.idf) @ model.rows.T
                 best = close.argmax(1)
+                least[at] = np.maximum(1 - max_distance, model.least[best, levels(counts)])
                 for row, b, c in zip(at, best.tolist(), close.max(1).tolist(), strict=True):
                     lang[row], score[row] = model.languages[model.owner[b]], min(max(c, 0.0), 1.0)
                 held.clear()
@@ -133,7 +181,7 @@ def predict(docs: DataFrame, model: Centroids | None, max_distance: float = 0.98
                         flush()
             if held:
                 flush()
-            yield {"doc_id": batch.column("doc_id"), "lang_pred": lang, "score": score, "rejected": [x == "und" or s < 1 - max_distance for x, s in zip(lang, score.tolist(), strict=True)]}
+            yield {"doc_id": batch.column("doc_id"), "lang_pred": lang, "score": score, "rejected": [x == "und" or s < m for x, s, m in zip(lang, score.tolist(), least.tolist(), strict=True)]}
 
     return map_rows(frame, step, "doc_id long, lang_pred string, score double, rejected boolean")
 

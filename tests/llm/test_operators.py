@@ -224,6 +224,25 @@ def test_language(spark, none):
     assert langid_centroids.predict(none, None).count() == 0
 
 
+def test_language_rejects_unknown_scripts_and_random_letters(spark):
+    draw = np.random.default_rng(3)
+    stems = {lang: ["".join(draw.choice(list(letters), draw.integers(2, 8))) for _ in range(300)] for lang, letters in {"en": "ethanorsid", "fr": "uqeailéèvm"}.items()}
+    made = lambda lang, n: " ".join(draw.choice(stems[lang], n))
+    rows = [(k, made(("en", "fr")[k % 2], 10 + k % 60), ("en", "fr")[k % 2]) for k in range(900)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = langid_centroids.fit(docs.where("doc_id < 600"), clusters=2)
+    odd = [
+        "В лесу родилась ёлочка, в лесу она росла, зимой и летом стройная, зелёная была и дожила до праздника",
+        "人人生而自由在尊严和权利上一律平等他们赋有理性和良心并应以兄弟关系的精神相对待人人有资格享有本宣言所载的一切权利",
+        "Όλοι οι άνθρωποι γεννιούνται ελεύθεροι και ίσοι στην αξιοπρέπεια και τα δικαιώματα και είναι προικισμένοι με λογική",
+        *("".join(draw.choice(list("abcdefghijklmnopqrstuvwxyz"), 500)) for _ in range(5)),
+    ]
+    more = spark.createDataFrame([(10000 + k, t, None) for k, t in enumerate(odd)], docs.schema)
+    got = {r["doc_id"]: r["rejected"] for r in langid_centroids.predict(docs.unionByName(more), model).collect()}
+    assert all(got[10000 + k] for k in range(len(odd)))
+    assert sum(got[k] for k in range(600, 900)) <= 6
+
+
 def test_boosting_and_calibration():
     draw = np.random.default_rng(1)
     x = draw.random((3000, 4))
