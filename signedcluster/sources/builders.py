@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from signedcluster.model import SignedGraph, normalise
+from signedcluster.shared import materialize
 from signedcluster.sources.tables import load, packed
 
 REGION, NATION, CUSTOMER, ORDER, PART, SUPPLIER, DOCUMENT, ITEM = range(1, 9)
@@ -113,15 +114,36 @@ def shingles(docs: DataFrame, kind: int, key: str, size: int = 5) -> DataFrame:
     return docs.select(packed(kind, key).alias("id"), words.alias("words")).select("id", F.explode(F.array_distinct(made)).alias("s"))
 
 
-def jaccard_edges(sh: DataFrame, threshold: float, max_docs: int = 200) -> DataFrame:
-    """Pairs with Jaccard at least ``threshold``, met through shingles of at most ``max_docs`` texts (part of the graph's
-    definition: more common shingles make no candidate but count in the measure)."""
-    sizes = sh.groupBy("id").agg(F.count("*").alias("n"))
-    rare = sh.join(sh.groupBy("s").agg(F.count("*").alias("c")).where(F.col("c").between(2, max_docs)).select("s"), "s", "left_semi")
-    cand = rare.select("s", F.col("id").alias("u")).join(rare.select("s", F.col("id").alias("v")), "s").where("u < v").select("u", "v").distinct()
-    common = cand.join(sh.select(F.col("id").alias("u"), "s"), "u").join(sh.select(F.col("id").alias("v"), "s"), ["v", "s"]).groupBy("u", "v").agg(F.count("*").alias("k"))
-    both = common.join(sizes.select(F.col("id").alias("u"), F.col("n").alias("nu")), "u").join(sizes.select(F.col("id").alias("v"), F.col("n").alias("nv")), "v")
-    return both.where(F.col("k") >= threshold * (F.col("nu") + F.col("nv") - F.col("k"))).select("u", "v")
+def jaccard_edges(sh: DataFrame, threshold: float, most: int = 512) -> DataFrame:
+    """Pairs of ``sh(id, s)`` with Jaccard at least ``threshold``: all of them, however common their shingles are.
+
+    Ids of equal sets are compared once, through the smallest of them. Two sets that reach the threshold share one of the
+    first n - ceil(threshold n) + 1 of a set's n shingles by rising frequency, so only these make candidates. A shingle that
+    more than ``most`` sets meet in is dealt out by pairs of blocks of its sets.
+    """
+    sets = sh.groupBy("id").agg(F.md5(F.concat_ws("\x1f", F.sort_array(F.collect_list(F.md5(F.col("s").cast("binary")))))).alias("k"))
+    groups = materialize(sets.withColumn("rep", F.min("id").over(Window.partitionBy("k"))).select("id", "rep"), "same_sets")
+    one = materialize(sh.join(groups.where("id = rep").select("id"), "id", "left_semi"), "one_of_same_sets")
+    met = one.join(one.groupBy("s").agg(F.count("*").alias("c")), "s")
+    ranked = met.withColumn("n", F.count("*").over(Window.partitionBy("id"))).withColumn("r", F.row_number().over(Window.partitionBy("id").orderBy("c", "s")))
+    front = ranked.where((F.col("c") > 1) & (F.col("r") <= F.col("n") - F.ceil(F.lit(threshold) * F.col("n") - F.lit(1e-9)) + 1)).select("s", "id", "n")
+    front = materialize(front, "rarest_shingles")
+    blocks = F.ceil(F.col("m") / F.lit(most)).cast("int")
+    dealt = front.join(front.groupBy("s").agg(F.count("*").alias("m")).where("m > 1"), "s").withColumn("b", F.pmod(F.xxhash64("id"), blocks).cast("int"))
+    dealt = dealt.withColumn("o", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    dealt = dealt.select("s", "id", "n", "b", F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j"))
+    both = dealt.select("s", "i", "j", F.col("id").alias("u"), F.col("n").alias("nu"), F.col("b").alias("bu")).join(
+        dealt.select("s", "i", "j", F.col("id").alias("v"), F.col("n").alias("nv"), F.col("b").alias("bv")), ["s", "i", "j"]
+    )
+    # Two sets of one block meet in its own cell only.
+    both = both.where((F.col("u") < F.col("v")) & ((F.col("i") == F.col("j")) | (F.col("bu") != F.col("bv"))))
+    cand = both.where(F.least("nu", "nv") >= F.lit(threshold) * F.greatest("nu", "nv") - F.lit(1e-9)).select("u", "v", "nu", "nv").distinct()
+    common = cand.join(one.select(F.col("id").alias("u"), "s"), "u").join(one.select(F.col("id").alias("v"), "s"), ["v", "s"])
+    near = common.groupBy("u", "v", "nu", "nv").agg(F.count("*").alias("k")).where(F.col("k") >= threshold * (F.col("nu") + F.col("nv") - F.col("k")))
+    # Members of a group are near each other, and near the members of the groups theirs is near to.
+    pairs = near.select(F.col("u").alias("ru"), F.col("v").alias("rv")).unionByName(groups.groupBy("rep").agg(F.count("*").alias("m")).where("m > 1").select(F.col("rep").alias("ru"), F.col("rep").alias("rv")))
+    every = pairs.join(groups.select(F.col("id").alias("a"), F.col("rep").alias("ru")), "ru").join(groups.select(F.col("id").alias("b"), F.col("rep").alias("rv")), "rv")
+    return every.where("ru <> rv or a < b").select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"))
 
 
 def doc_near(spark: SparkSession, folder: str, threshold: float = 0.5) -> SignedGraph:

@@ -239,3 +239,15 @@ def test_arboricity_bounds_hold(spark):
     assert low == 3 and high >= 3
     low, high = arboricity.bounds(B.star(spark, 30).stored("star"))
     assert low == 1 and high >= 1
+
+
+def test_near_edges_of_large_groups_and_common_shingles(spark):
+    from signedcluster.sources import builders as B
+
+    sets = {k: {"a", "b", "c", "d"} for k in range(260)} | {300 + k: {"a", "b", "c", f"x{k}"} for k in range(5)} | {400: {"a", "y", "z"}, 401: {"q"}, 402: {"q", "r"}}
+    rows = spark.createDataFrame([(k, s) for k, x in sets.items() for s in x], "id long, s string")
+    for threshold in (0.5, 0.8):
+        want = {(u, v) for u in sets for v in sets if u < v and len(sets[u] & sets[v]) >= threshold * len(sets[u] | sets[v])}
+        for most in (512, 2):
+            got = [tuple(r) for r in B.jaccard_edges(rows, threshold, most).select("u", "v").collect()]
+            assert len(got) == len(set(got)) and set(got) == want
