@@ -322,6 +322,21 @@ def test_recurrent_gradients_and_lanes():
     assert np.allclose(whole, alone, rtol=1e-4)
 
 
+def test_recurrent_training_reads_every_token(monkeypatch):
+    draw = np.random.default_rng(1)
+    seqs = [draw.integers(0, 50, n) for n in (60_000, 3, 700, *[150] * 90)]
+    read, plain = [], recurrent_lm.GatedUnit.window_gradients
+
+    def watched(unit, x, y, fresh, h):
+        read.append((y.size, int(fresh.sum())))
+        return plain(unit, x, y, fresh, h)
+
+    monkeypatch.setattr(recurrent_lm.GatedUnit, "window_gradients", watched)
+    recurrent_lm.train(seqs, epochs=2)
+    assert sum(n for n, _ in read) == 2 * sum(map(len, seqs)) and sum(k for _, k in read) == 2 * len(seqs)
+    recurrent_lm.train([np.array([recurrent_lm.END])])
+
+
 def test_decontamination(spark, docs, none):
     draw = np.random.default_rng(5)
     words = [f"w{draw.integers(5000)}x" for _ in range(9000)]
