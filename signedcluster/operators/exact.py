@@ -54,10 +54,14 @@ def best_partition(vertices: list[int], edges: list[tuple[int, int]]) -> tuple[i
 
 
 def optimum(g: SignedGraph, max_comp: int = 10) -> DataFrame:
-    """``(component, v, cid, opt)`` for every component of at most ``max_comp`` vertices (more are left out: the problem is
-    hard; callers see which by the missing rows). Isolated vertices cost nothing and are not listed."""
+    """``(component, v, cid, opt)`` of every vertex with an edge. Components of more than ``max_comp`` vertices are not
+    solved (the problem is hard): their rows have null ``cid`` and ``opt``. Isolated vertices cost nothing and are not listed."""
     comp = materialize(components(g.edges), "comp")
-    small = comp.groupBy("comp").agg(F.count("*").alias("n")).where(F.col("n") <= max_comp).select("comp")
+    sizes = comp.groupBy("comp").agg(F.count("*").alias("n"))
+    small = sizes.where(F.col("n") <= max_comp).select("comp")
+    null = F.lit(None).cast("long")
+    unsolved = comp.join(sizes.where(F.col("n") > max_comp).select("comp"), "comp", "left_semi")
+    unsolved = unsolved.select(F.col("comp").alias("component"), "v", null.alias("cid"), null.alias("opt"))
     rows = g.edges.join(comp, "v").join(small, "comp", "left_semi").select("comp", "u", "v")
 
     def solve(c, cols):
@@ -65,4 +69,4 @@ def optimum(g: SignedGraph, max_comp: int = 10) -> DataFrame:
         opt, found = best_partition(list({x for e in edges for x in e}), edges)
         return [(int(c), v, cid, opt) for v, cid in found.items()]
 
-    return map_groups(rows, "comp", solve, "component long, v long, cid long, opt long")
+    return map_groups(rows, "comp", solve, "component long, v long, cid long, opt long").unionByName(unsolved)

@@ -251,3 +251,14 @@ def test_near_edges_of_large_groups_and_common_shingles(spark):
         for most in (512, 2):
             got = [tuple(r) for r in B.jaccard_edges(rows, threshold, most).select("u", "v").collect()]
             assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_unsolved_components_are_listed_with_a_null_optimum(spark):
+    from signedcluster.model import normalise
+    from signedcluster.operators import exact
+
+    edges = [(k, k + 1) for k in range(14)] + [(20, 21), (21, 22)]
+    g = normalise(spark.createDataFrame(edges, "u long, v long"), spark.range(30).select(F.col("id").alias("v")))
+    got = {r["v"]: (r["cid"], r["opt"]) for r in exact.optimum(g).collect()}
+    assert set(got) == {*range(15), 20, 21, 22}
+    assert all(got[k] == (None, None) for k in range(15)) and all(got[k][1] == 1 for k in (20, 21, 22))
