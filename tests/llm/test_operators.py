@@ -385,7 +385,8 @@ def test_pipeline_stages(spark):
 AWKWARD = [
     None, "", " ", "a", "a ", " a", "  ", "a  b", "a\n b", "a \nb", "x　y", "<|endoftext|> b", "\x1c a", "É b É", "a\tb  c\n",
     "..a b..", "日本 語", "İ x", "á b́", "don't. 's 'S", "a.b. a!. é. a. b, .", "a.", "a.\n b", "1. a:. b;", ".", "x. ",
-    "I'S. 's. '. a'", "ﬁ ﬁ.",
+    "I'S. 's. '. a'", "ﬁ ﬁ.", "a.\nB c", "a\n\nb", "\na", "a\n", "a \nb", "a\n b", "x　\n　y", "\x01 a", "a &&& b*** c...",
+    "É. ß, ü!? ×. ÷, ſ. İ. J̌ ǰ İ", "Straße, Ñandú; ÇA!", "a#######. b!!!! c", "ǅx ǅ ŉ", "don't! 'S. L'été.", " a\nb ",
 ]
 
 
