@@ -2,55 +2,84 @@
 
 from __future__ import annotations
 
-import zlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from signedcluster.llm.common import doc_frame, map_rows, texts, words_of
+from signedcluster.llm.common import by_bytes, doc_frame, map_rows, numbered_words, offsets_of, text_mark, without_rows, words_of
 
-SLOTS = 1 << 18
+SLOT_BITS = 18
+SLOTS = 1 << SLOT_BITS
 PART = 1 << 12
 BLOCK = 16
 NUMBERS = 1 << 21
-MEMO_WORDS = 400_000
+PAIR = ("doc_id", "mark", "item_id", "cosine", "share", "answer_found")
 STRIP = b".,;:!?\"'()[]{}"
+SIGNS = np.isin(np.arange(256), list(STRIP))
 
 
 def plain_words(text: str | None) -> list[bytes]:
     return [x for w in words_of(text) if (x := w.strip(STRIP))]
 
 
-def slot_of(word: bytes) -> int:
-    return zlib.crc32(word) & (SLOTS - 1)
-
+def slots_of(words: pa.StringArray) -> np.ndarray:
+    """A slot for each word, by a polynomial hash of its bytes without the signs of ``STRIP`` around it."""
+    ends = offsets_of(words).astype(np.int64)
+    data = np.frombuffer(words.buffers()[2] or b"", np.uint8)[ends[0] : ends[-1]]
+    a, b = ends[:-1] - ends[0], ends[1:] - ends[0]
+    for _ in range(len(data)):
+        drop = np.flatnonzero(a < b)
+        drop = drop[SIGNS[data[a[drop]]]]
+        if not len(drop):
+            break
+        a[drop] += 1
+    for _ in range(len(data)):
+        drop = np.flatnonzero(a < b)
+        drop = drop[SIGNS[data[b[drop] - 1]]]
+        if not len(drop):
+            break
+        b[drop] -= 1
+    # The sum of byte * P^place over a word, divided by P^(place of its start); P is odd, so it has an inverse.
+    sums = np.zeros(len(data) + 1, np.uint64)
+    place = np.arange(len(data) + 1)
+    power = POWERS[0][place & 4095] * POWERS[1][place >> 12 & 4095] * POWERS[2][place >> 24]
+    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * power[:-1], out=sums[1:])
+    inverse = INVERSES[0][a & 4095] * INVERSES[1][a >> 12 & 4095] * INVERSES[2][a >> 24]
+    h = (sums[b] - sums[a]) * inverse
+    h = (h ^ h >> np.uint64(32)) * np.uint64(0x9E3779B97F4A7C15)
+    return (h >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
+
+
+def powers(base: int) -> list[np.ndarray]:
+    """Powers 0 to 4095 of base, of its 4096th and of its 2^24th power (the last fewer), modulo 2^64."""
+    out = []
+    for step, many in ((1, 4096), (1 << 12, 4096), (1 << 24, 128)):
+        one = pow(base, step, 1 << 64)
+        out.append(np.array([pow(one, k, 1 << 64) for k in range(many)], np.uint64))
+    return out
 
-class Slots(dict):
-    """Slots of words as they stand in a text, remembered."""
 
-    def __missing__(self, word: bytes) -> int:
-        self[word] = slot = slot_of(word.strip(STRIP))
-        return slot
+BASE = 0xD6E8FEB86659FD93
+POWERS, INVERSES = powers(BASE), powers(pow(BASE, -1, 1 << 64))
 
 
 def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
     """Documents that hold each word slot, over all of ``docs(text)``; the number of slots bounds what is gathered."""
 
     def step(batches):
-        total, n = np.zeros(SLOTS, np.int32), 0
-        memo = Slots()
+        total, n = np.zeros(SLOTS, np.int64), 0
         for batch in batches:
-            for _, t in texts(batch):
-                words = set(words_of(t))
-                if len(memo) > MEMO_WORDS:
-                    memo.clear()
-                if words:
-                    # Of words in one slot, an indexed sum adds one.
-                    total[np.fromiter(map(memo.__getitem__, words), np.int64, len(words))] += 1
-                n += 1
-        parts = total.reshape(-1, PART)
+            for part in by_bytes(batch, "text"):
+                words, at, edges = numbered_words(part.column("text"))
+                doc = np.repeat(np.arange(part.num_rows), np.diff(edges))
+                held = np.sort(doc * SLOTS + slots_of(words)[at])
+                total += np.bincount(held[np.flatnonzero(np.diff(held, prepend=-1))] & (SLOTS - 1), minlength=SLOTS)
+                n += part.num_rows
+        parts = total.astype(np.int32).reshape(-1, PART)
         yield {"part": [*range(len(parts)), -1], "df": [*(p.tobytes() for p in parts), b""], "n": [*[0] * len(parts), n]}
 
     def add(batches):
@@ -122,12 +151,14 @@ class Index:
     """
 
     def __init__(self, spark, benchmark: list[tuple[int, str | None]], df: np.ndarray, docs: int, rank: int):
-        found = sorted(passages(benchmark))
+        found = sorted(passages(benchmark), key=lambda x: (x[0] is not None, x[0] or 0, x[1]))
         self.items = [k for k, _ in found]
         self.words = [w for _, w in found]
         self.idf = (np.log((docs + 1) / (df + 1)) + 0.1).astype(np.float32)
-        slots = [np.array([slot_of(x) for x in w]) for w in self.words]
-        used = np.unique(np.concatenate(slots)) if slots else np.zeros(0, int)
+        every = slots_of(pa.array([x.decode("utf-8", "replace") for w in self.words for x in w], pa.string()))
+        slots = [np.unique(s, return_counts=True) for s in np.split(every, np.cumsum([len(w) for w in self.words])[:-1])] if found else []
+        slots = [(held, self.idf[held] * tf) for held, tf in slots]
+        used = np.unique(np.concatenate([held for held, _ in slots])) if slots else np.zeros(0, int)
         self.dim = np.full(SLOTS, -1, np.int32)
         self.dim[used] = np.arange(len(used))
         self.first, self.latent, self.kept = [0], [], np.zeros(0)
@@ -136,13 +167,9 @@ class Index:
             return
         blocks = []
         for part in np.array_split(np.arange(len(found)), -(-len(found) // rank)):
-            own = np.unique(np.concatenate([slots[k] for k in part]))
-            dims, weights = [], []
-            for k in part:
-                held, tf = np.unique(slots[k], return_counts=True)
-                w = self.idf[held] * tf
-                dims.append(np.searchsorted(own, held))
-                weights.append((w / np.linalg.norm(w)).astype("<f4"))
+            own = np.unique(np.concatenate([slots[k][0] for k in part]))
+            dims = [np.searchsorted(own, slots[k][0]) for k in part]
+            weights = [(w / np.linalg.norm(w)).astype("<f4") for _, w in (slots[k] for k in part)]
             blocks.append((own, dims, weights))
             self.first.append(self.first[-1] + len(part))
         bases = block_bases(spark, blocks)
@@ -178,78 +205,128 @@ def longest_common_subsequence(a: list[bytes], b: list[bytes]) -> int:
     return len(a) - row.bit_count()
 
 
-def find_candidates(slots: np.ndarray, index: Index, min_cosine: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first word, word after the last, passage, cosine) of windows near a benchmark passage, for one text's slots.
+@dataclass
+class Blocks:
+    """Blocks of ``BLOCK`` words of many texts. ``doc`` and ``last`` (the document's last block) by block, ``at`` the
+    first word; ``slot`` and ``of`` (its block) are the distinct words of each block, ``norm`` a block's squared weight."""
+
+    doc: np.ndarray
+    at: np.ndarray
+    last: np.ndarray
+    of: np.ndarray
+    slot: np.ndarray
+    norm: np.ndarray
+
+
+def blocks_of(slots: np.ndarray, edges: np.ndarray, idf: np.ndarray) -> Blocks:
+    """Blocks of the texts that start at ``edges`` in ``slots``; no block goes over the end of a text."""
+    size = np.diff(edges)
+    many = -(-size // BLOCK)
+    ends = np.cumsum(many)
+    doc = np.repeat(np.arange(len(size)), many)
+    at = (np.arange(len(doc)) - np.repeat(ends - many, many)) * BLOCK
+    # A row for each block; the last of a text is filled up with -1.
+    held = np.full(len(doc) * BLOCK, -1, np.int32)
+    held[np.arange(len(slots)) + np.repeat((ends - many) * BLOCK - edges[:-1], size)] = slots
+    held = np.sort(held.reshape(-1, BLOCK), axis=1)
+    # A word counts once in a block, so that a text that repeats one word is no longer than its weight.
+    of, place = np.nonzero(np.diff(held, axis=1, prepend=-1))
+    slot = held[of, place]
+    norm = np.bincount(of, idf[slot].astype(np.float64) ** 2, len(doc))
+    return Blocks(doc, at, np.repeat(ends - 1, many), of, slot, norm)
+
+
+def windows(values: np.ndarray, near: dict[int, np.ndarray], axis: int = -1) -> dict[int, np.ndarray]:
+    """Sums of ``values`` over windows of two and four blocks from each block on, that end with the document."""
+    ahead = lambda x, k: np.concatenate((x[..., k:], np.zeros((*x.shape[:-1], min(k, x.shape[-1])), x.dtype)), -1) * near[k]
+    values = np.moveaxis(values, axis, -1)
+    two = values + ahead(values, 1)
+    four = two + ahead(two, 2)
+    return {2: np.moveaxis(two, -1, axis), 4: np.moveaxis(four, -1, axis)}
+
+
+def find_candidates(blocks: Blocks, index: Index, min_cosine: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(first block, blocks, passage, cosine) of windows of two and four blocks near a benchmark passage.
 
-    A long text goes in stretches that overlap by a window, so that memory does not grow with it or with the passages.
+    Blocks go in stretches that overlap by a window, so that memory grows neither with a text nor with the passages.
     """
-    edges = -(-len(slots) // BLOCK)
-    stretch = max(16, NUMBERS // max(len(index.latent) * index.weighted.shape[1], 1))
-    out = []
-    for at in range(0, max(edges - 3, 1), stretch):
-        last = at + stretch >= edges - 3
-        found = candidates_within(slots[at * BLOCK : None if last else (at + stretch + 3) * BLOCK], index, min_cosine)
-        if len(found[0]):
-            out.append((found[0] + at * BLOCK, found[1] + at * BLOCK, *found[2:]))
+    n, out = len(blocks.doc), []
+    stretch = max(64, NUMBERS // max(len(index.latent) * index.weighted.shape[1], 1))
+    for at in range(0, n, stretch):
+        to = min(at + stretch + 3, n)
+        found = candidates_within(blocks, at, to, index, min_cosine)
+        mine = found[0] < at + stretch
+        out.append(tuple(x[mine] for x in found))
     return tuple(np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, int),) * 4
 
 
-def candidates_within(slots: np.ndarray, index: Index, min_cosine: float) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    n, spaces = len(slots), len(index.latent)
-    edges = np.arange(0, n, BLOCK)
-    # A word counts once in a block, so that a text that repeats one word is no longer than its weight.
-    block, slots = np.divmod(np.unique(np.arange(n) // BLOCK * SLOTS + slots), SLOTS)
-    weight = index.idf[slots]
+def candidates_within(blocks: Blocks, first: int, to: int, index: Index, min_cosine: float) -> tuple[np.ndarray, ...]:
+    none, n, spaces = (np.zeros(0, int),) * 4, to - first, len(index.latent)
+    a, b = np.searchsorted(blocks.of, (first, to))
+    slots, block = blocks.slot[a:b], blocks.of[a:b] - first
     dims = index.dim[slots]
-    norm = np.bincount(block, weight.astype(np.float64) ** 2, len(edges))
     own = np.flatnonzero(dims >= 0)
     if not len(own):
-        return (np.zeros(0, int),) * 4
+        return none
+    doc, last = blocks.doc[first:to], blocks.last[first:to] - first
+    # The first block of a document's last window, however short the document is.
+    head = np.arange(n) - blocks.at[first:to] // BLOCK
+    near = {k: np.concatenate((doc[k:] == doc[:-k], np.zeros(min(k, n), bool))).astype(np.float32) for k in (1, 2)}
+    square = windows(blocks.norm[first:to], near)
     # Each word has a row in every space whose passages hold it.
     begin = index.start[dims[own]]
     times = index.start[dims[own] + 1] - begin
     rows = np.repeat(begin - np.cumsum(times) + times, times) + np.arange(times.sum())
-    place = index.block[rows] * len(edges) + np.repeat(block[own], times)
+    place = index.block[rows] * n + np.repeat(block[own], times)
+    # A window's part in a space is no longer than the sum of its blocks' parts, and no cosine passes that share of the
+    # window; so most blocks are not projected at all.
+    part = np.sqrt(np.bincount(place, np.repeat(index.idf[slots[own]].astype(np.float64) ** 2, times), spaces * n)).reshape(spaces, n)
+    reach, starts, used = windows(part, near), {}, np.zeros((spaces, n + 3), bool)
+    for width in (2, 4):
+        real = np.arange(n) <= np.maximum(head, last + 1 - width)
+        starts[width] = (reach[width] ** 2 >= min_cosine**2 * square[width]) & real
+        for k in range(width):
+            used[:, k : n + k] |= starts[width]
+    keep = used[:, :n].ravel()[place]
+    place, rows = place[keep], rows[keep]
+    if not len(place):
+        return none
     if spaces > 1:
         order = np.argsort(place, kind="stable")
         place, rows = place[order], rows[order]
-    first = np.flatnonzero(np.r_[True, place[1:] != place[:-1]])
-    low = np.zeros((spaces * len(edges), index.weighted.shape[1]), np.float32)
-    low[place[first]] = np.add.reduceat(index.weighted[rows], first)
-    low = low.reshape(spaces, len(edges), -1)
+    # The k-th words of all blocks are added together, as no two of them are of one block.
+    first_row = np.flatnonzero(np.r_[True, place[1:] != place[:-1]])
+    turn = np.arange(len(place)) - np.repeat(first_row, np.diff(first_row, append=len(place)))
+    order = np.argsort(turn, kind="stable")
+    low = np.zeros((spaces, n, index.weighted.shape[1]), np.float32)
+    flat = low.reshape(spaces * n, -1)
+    for some in np.split(order, np.cumsum(np.bincount(turn))[:-1]):
+        flat[place[some]] += index.weighted[rows[some]]
     out = []
-    for width in (2, 4):
-        count = max(len(edges) - width + 1, 1)
-        total, square = np.zeros((spaces, count, low.shape[2]), np.float32), np.zeros(count)
-        for k in range(min(width, len(edges))):
-            total += low[:, k : k + count]
-            square += norm[k : k + count]
-        # No cosine passes the share of a window that lies in the latent space, so most windows need no comparison.
-        space, maybe = np.nonzero(np.einsum("sij,sij->si", total, total) >= min_cosine**2 * square)
-        for s in np.unique(space).tolist():
-            here = maybe[space == s]
-            latent = index.latent[s]
-            cosine = (total[s, here, : latent.shape[1]] @ latent.T) / np.sqrt(np.maximum(square[here], 1e-9))[:, None]
+    for s in range(spaces):
+        latent = index.latent[s]
+        for width, total in windows(low[s, :, : latent.shape[1]], near, 0).items():
+            here = np.flatnonzero(starts[width][s])
+            here = here[np.einsum("ij,ij->i", total[here], total[here]) >= min_cosine**2 * square[width][here]]
+            cosine = (total[here] @ latent.T) / np.sqrt(np.maximum(square[width][here], 1e-9))[:, None]
             row, passage = np.nonzero(cosine >= min_cosine)
-            at = here[row]
-            out.append((at * BLOCK, np.minimum((at + width) * BLOCK, n), passage + index.first[s], cosine[row, passage]))
-    return tuple(np.concatenate(x) for x in zip(*out, strict=True)) if out else (np.zeros(0, int),) * 4
+            out.append((here[row] + first, np.full(len(row), width), passage + index.first[s], cosine[row, passage]))
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
 
-def judge(words: list[bytes], a: int, b: int, passage: list[bytes], close: float, loose: float) -> tuple[float, bool, bool]:
+def judge(region: list[bytes], passage: list[bytes], close: float, loose: float) -> tuple[float, bool, bool]:
     """(share of the passage found in order, whether its answer is found, contaminated).
 
     The answer is the passage's last quarter, three words at least. A share of ``close`` decides alone; from ``loose`` on
     the answer must be there as well (a paraphrase keeps the answer).
     """
-    region = words[max(0, a - len(passage)) : b + len(passage)]
     share = longest_common_subsequence(passage, region) / len(passage)
     answer = passage[-max(3, len(passage) // 4) :]
     found = longest_common_subsequence(answer, region) >= 0.8 * len(answer)
     return share, found, share >= close or (share >= loose and found)
 
 
-def contaminated_pairs(
+def marked_pairs(
     docs: DataFrame,
     benchmark: DataFrame,
     rank: int = 96,
@@ -261,50 +338,57 @@ def contaminated_pairs(
     item_col: str = "item_id",
     item_text_col: str = "text",
 ) -> DataFrame:
-    """``(doc_id, item_id, cosine, share, answer_found)`` of documents that hold a benchmark passage or a paraphrase.
-
-    The benchmark is the query side and is held by the driver and the tasks: its size (rows of item text) is the bound.
-    Document frequencies are of all documents. Passages of the benchmark are cut into blocks of at
-    most ``rank``, each factored by a randomised SVD of its TF-IDF matrix at full rank, so that more passages make more
-    spaces and none loses norm; overlapping windows of 32 and 64 words of each whole document are projected on it and compared
-    by cosine; candidates then pass the checks of :func:`judge` on the words themselves. One row for each pair, the best
-    window. Null and empty texts and items match nothing; items of null id are kept as their own null item.
-    """
-    frame = doc_frame(docs, id_col, text_col)
+    """As :func:`contaminated_pairs`, with the ``mark`` of each document's text."""
+    frame = doc_frame(docs, id_col, text_col, text_mark(text_col))
     items = [(r[0], r[1]) for r in benchmark.select(F.col(item_col).cast("long"), F.col(item_text_col).cast("string")).where(F.col(item_text_col).isNotNull()).collect()]
     df, n = document_frequencies(frame)
-    index = Index(docs.sparkSession, [(k, t) for k, t in items if k is not None], df, n, rank)
+    index = Index(docs.sparkSession, items, df, n, rank)
 
     def step(batches):
-        memo = Slots()
         for batch in batches:
-            out = {k: [] for k in ("doc_id", "item_id", "cosine", "share", "answer_found")}
-            ids = batch.column("doc_id").to_pylist()
-            for row, t in texts(batch):
-                words = words_of(t)
-                if not words or not index.items:
-                    continue
-                if len(memo) > MEMO_WORDS:
-                    memo.clear()
-                slots = np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
-                best: dict[int, tuple] = {}
-                a, b, p, c = find_candidates(slots, index, min_cosine)
-                if not len(p):
+            for part in by_bytes(batch, "text"):
+                out = {k: [] for k in PAIR}
+                ids, marks = part.column("doc_id").to_pylist(), part.column("mark").to_pylist()
+                words, at, edges = numbered_words(part.column("text"))
+                if not len(at) or not index.items:
                     continue
-                bare = [w.strip(STRIP) for w in words]
-                for a1, b1, p1, c1 in zip(a.tolist(), b.tolist(), p.tolist(), c.tolist(), strict=True):
-                    share, found, bad = judge(bare, a1, b1, index.words[p1], close, loose)
-                    if bad and (share, c1) > best.get(index.items[p1], (0, 0))[:2]:
-                        best[index.items[p1]] = (share, c1, found)
-                for item, (share, c1, found) in best.items():
-                    for k, v in zip(out, (ids[row], item, float(c1), float(share), found), strict=True):
+                blocks = blocks_of(slots_of(words)[at], edges, index.idf)
+                bare: dict[int, bytes] = {}
+                best: dict[tuple, tuple] = {}
+                for block, width, p, c in zip(*(x.tolist() for x in find_candidates(blocks, index, min_cosine)), strict=True):
+                    doc, passage = int(blocks.doc[block]), index.words[p]
+                    a = int(blocks.at[block])
+                    b = min(a + width * BLOCK, int(edges[doc + 1] - edges[doc]))
+                    region = at[edges[doc] + max(0, a - len(passage)) : min(edges[doc] + b + len(passage), edges[doc + 1])].tolist()
+                    for k in region:
+                        if k not in bare:
+                            bare[k] = words[k].as_py().encode().strip(STRIP)
+                    share, found, bad = judge([bare[k] for k in region], passage, close, loose)
+                    key = (doc, index.items[p])
+                    if bad and (share, c) > best.get(key, (0, 0))[:2]:
+                        best[key] = (share, c, found)
+                for (doc, item), (share, c, found) in best.items():
+                    for k, v in zip(PAIR, (ids[doc], marks[doc], item, min(float(c), 1.0), float(share), found), strict=True):
                         out[k].append(v)
-            yield out
+                yield out
+
+    return map_rows(frame, step, "doc_id long, mark long, item_id long, cosine double, share double, answer_found boolean")
+
 
-    return map_rows(frame, step, "doc_id long, item_id long, cosine double, share double, answer_found boolean")
+def contaminated_pairs(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
+    """``(doc_id, item_id, cosine, share, answer_found)`` of documents that hold a benchmark passage or a paraphrase.
+
+    The benchmark is the query side and is held by the driver and the tasks: its size (rows of item text) is the bound.
+    Document frequencies are of all documents. Passages of the benchmark are cut into blocks of at
+    most ``rank``, each factored by a randomised SVD of its TF-IDF matrix at full rank, so that more passages make more
+    spaces and none loses norm; overlapping windows of 32 and 64 words of each whole document are projected on it and compared
+    by cosine; candidates then pass the checks of :func:`judge` on the words themselves. One row for each row of
+    documents and item, the best window. Null and empty texts and items match nothing; items of null id, and documents
+    of null id, are searched like any other and reported with their null id.
+    """
+    return marked_pairs(docs, benchmark, **options).drop("mark")
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """``docs`` without the rows that hold a benchmark passage; only their ids are joined."""
-    gone = contaminated_pairs(docs, benchmark, id_col=id_col, text_col=text_col, **options).select(F.col("doc_id").alias("_gone_id")).distinct()
-    return docs.join(gone, F.col(id_col) == F.col("_gone_id"), "left_anti")
+    """``docs`` without the rows that hold a benchmark passage, each row judged by its own text (ids may repeat or be null)."""
+    return without_rows(docs, marked_pairs(docs, benchmark, id_col=id_col, text_col=text_col, **options), id_col, text_col)

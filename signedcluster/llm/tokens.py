@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from itertools import chain
 
 import numpy as np
@@ -10,13 +9,11 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from signedcluster.llm.common import doc_frame, map_rows
+from signedcluster.llm.common import by_bytes, doc_frame, map_rows, offsets_of
 from signedcluster.shared import worker_cache
 
 #: Words that a worker remembers, of those met once and of those met again each, before it starts anew; bounds its memory.
 MEMO_WORDS = 200_000
-#: Text that is cut into words at once.
-SLICE_BYTES = 4 << 20
 #: Separators that are white space to Python and not to the tokenizers, or the other way round.
 ODD = "\x1c\x1d\x1e\x1f\x85\u180e\u200b\u2028\u2029"
 
@@ -58,11 +55,6 @@ def _load(path: str):
     return cache[path]
 
 
-def offsets_of(column: pa.Array) -> np.ndarray:
-    """Where the values of a binary column start in its data, and the end of the last."""
-    return np.frombuffer(column.buffers()[1], np.int32, len(column) + 1, column.offset * 4) if len(column) else np.zeros(1, np.int32)
-
-
 def ends_in_letter(data: np.ndarray, at: np.ndarray) -> np.ndarray:
     last, before = data[at], data[np.maximum(at - 1, 0)]
     return LETTERS[last] | (SECOND[last] & (((before == 0xC4) & (last != 0xB0)) | (before == 0xC5) | ((before == 0xC3) & ~NO_LETTER[last])))
@@ -230,16 +222,6 @@ class ChunkEncoder:
         return pa.BinaryArray.from_buffers(pa.binary(), len(texts), [None, pa.py_buffer(offsets), ids.buffers()[2]])
 
 
-def by_bytes(batch: pa.RecordBatch, column: str) -> Iterator[pa.RecordBatch]:
-    """Slices of about ``SLICE_BYTES`` of ``column``; a longer value is a slice of its own."""
-    sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy().astype(np.int64)
-    part = (np.cumsum(sizes) - sizes) // SLICE_BYTES
-    cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), batch.num_rows]
-    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-        if b > a:
-            yield batch.slice(a, b - a)
-
-
 def token_table(docs: DataFrame, path: str, keep_space: bool, end_id: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, n, ids)``: ids of the text and ``end_id`` after them, two bytes each if the vocabulary allows.
 
