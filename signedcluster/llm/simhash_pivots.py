@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from signedcluster.llm.common import doc_frame, map_rows, popcount, texts, words_of
+from signedcluster.llm.common import doc_frame, map_rows, popcount, text_mark, texts, without_rows, words_of
 from signedcluster.operators.components import components
 from signedcluster.shared import materialize
 
@@ -36,14 +36,14 @@ def fingerprint(text: str | None, shingle: int = 4, seed: int = 42) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 4, seed: int = 42) -> DataFrame:
-    """``(doc_id, fp)`` of every row; ``fp`` holds the 64 bits as a signed long."""
+    """``(doc_id, mark, fp)`` of every row; ``mark`` is a hash of the text, ``fp`` holds the 64 bits as a signed long."""
 
     def step(batches):
         for batch in batches:
             found = np.fromiter((fingerprint(t, shingle, seed) for _, t in texts(batch)), np.uint64, batch.num_rows)
-            yield {"doc_id": batch.column("doc_id"), "fp": found.view(np.int64)}
+            yield {"doc_id": batch.column("doc_id"), "mark": batch.column("mark"), "fp": found.view(np.int64)}
 
-    return map_rows(doc_frame(docs, id_col, text_col), step, "doc_id long, fp long")
+    return map_rows(doc_frame(docs, id_col, text_col, text_mark(text_col)), step, "doc_id long, mark long, fp long")
 
 
 def block_masks(distinct: int, max_distance: int, bucket_rows: int = 64) -> list[int]:
@@ -166,7 +166,7 @@ def near_links(distinct: DataFrame, n_distinct: int, max_distance: int = 4, pivo
     return map_rows(dealt, step, "u long, v long").where("u <> v").distinct()
 
 
-def near_duplicates(
+def marked_duplicates(
     docs: DataFrame,
     id_col: str = "doc_id",
     text_col: str = "text",
@@ -175,26 +175,30 @@ def near_duplicates(
     max_distance: int = 4,
     pivots: int = 24,
 ) -> DataFrame:
+    """``doc_id, mark, fp, first`` of each row: ``first`` is the least (id is null, id, mark) of the row's class."""
+    fps = materialize(fingerprints(docs, id_col, text_col, shingle, seed), "fps")
+    row = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "mark")
+    reps = materialize(fps.groupBy("fp").agg(F.min(row).alias("first")), "reps")
+    found = components(near_links(reps.select("fp", F.col("fp").alias("rep")), reps.count(), max_distance, pivots)).withColumnRenamed("v", "fp")
+    placed = materialize(reps.join(found, "fp", "left").select("fp", F.coalesce("comp", "fp").alias("comp"), "first"), "placed")
+    firsts = placed.groupBy("comp").agg(F.min("first").alias("first"))
+    classes = materialize(placed.select("fp", "comp").join(firsts, "comp").select("fp", "first"), "classes")
+    return fps.join(classes, "fp").select("doc_id", "mark", "fp", "first")
+
+
+def near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """One row per input row: ``doc_id, fp, component_id`` (the smallest id reachable by links of near fingerprints).
 
-    Equal fingerprints collapse to one representative first, so groups of copies cost one row each. Null and empty texts
-    and texts without a word have fingerprint zero and are linked like any other. Rows with a null id get a fingerprint
-    and, if no other row shares it, a null component. An empty table gives an empty result.
+    Equal fingerprints collapse to one row first, so groups of copies cost one row each. Null and empty texts
+    and texts without a word have fingerprint zero and are linked like any other. Rows with a null id are linked like others;
+    a class of null ids only has a null ``component_id``. An empty table gives an empty result.
     """
-    fps = materialize(fingerprints(docs, id_col, text_col, shingle, seed), "fps")
-    reps = materialize(fps.groupBy("fp").agg(F.min("doc_id").alias("rep")), "reps")
-    linkable = reps.where("rep is not null")
-    n = linkable.count()
-    found = components(near_links(linkable, n, max_distance, pivots)).withColumnRenamed("v", "rep")
-    whole = materialize(
-        reps.join(found, "rep", "left").select(F.col("fp"), F.coalesce("comp", "rep").alias("component_id")), "classes"
-    )
-    return fps.join(whole, "fp").select("doc_id", "fp", "component_id")
+    return marked_duplicates(docs, **options).select("doc_id", "fp", F.col("first.doc_id").alias("component_id"))
 
 
 def keep_one_per_class(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """``docs`` without the rows whose class has a smaller id."""
-    gone = near_duplicates(docs, id_col, text_col, **options).where("doc_id <> component_id").select(F.col("doc_id").alias("_gone_id"))
-    return docs.join(gone.distinct(), F.col(id_col) == F.col("_gone_id"), "left_anti")
-
-
+    """``docs`` with one row of each class: the smallest id (rows with an id before rows without), of one id the smallest
+    text hash. Each row has its own verdict, so other rows of a repeated id stay; repeats of the kept row stay with it."""
+    found = marked_duplicates(docs, id_col=id_col, text_col=text_col, **options)
+    other = ~F.col("doc_id").eqNullSafe(F.col("first.doc_id")) | (F.col("mark") != F.col("first.mark"))
+    return without_rows(docs, found.where(other), id_col, text_col)
