@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from signedcluster.llm.common import LETTER, doc_frame, map_rows, texts
+from signedcluster.llm.common import doc_frame, has_letter, map_rows, text_mark, texts, without_rows
 
 DIMS = 4096
 CHUNK = 1 << 20
@@ -107,7 +107,7 @@ def fit(train: DataFrame, per_language: int = 1000, clusters: int = 4, low: floa
                 for k in range(LEVELS):
                     part = t[: SHORTEST << k]
                     whole = len(part) == len(t)
-                    if whole or LETTER.search(part):
+                    if whole or has_letter(part):
                         c = trigram_counts(part)
                         dims = np.flatnonzero(c)
                         for name, v in zip(out, (languages[row], whole, dims.astype("<u2").tobytes(), np.minimum(c[dims], 65535).astype("<u2").tobytes()), strict=True):
@@ -155,7 +155,12 @@ def predict(docs: DataFrame, model: Centroids | None, max_distance: float = 0.98
     the centroid's own members of that length (see :func:`fit`). Ties go to the first language
     by name. Without a model everything is ``und``.
     """
-    frame = doc_frame(docs, id_col, text_col)
+    return marked_predictions(docs, model, max_distance, id_col, text_col).drop("mark")
+
+
+def marked_predictions(docs: DataFrame, model: Centroids | None, max_distance: float, id_col: str, text_col: str) -> DataFrame:
+    """As :func:`predict`, with the ``mark`` of each row's text."""
+    frame = doc_frame(docs, id_col, text_col, text_mark(text_col))
 
     def step(batches):
         for batch in batches:
@@ -174,19 +179,18 @@ def predict(docs: DataFrame, model: Centroids | None, max_distance: float = 0.98
                 at.clear()
 
             for row, t in texts(batch):
-                if model is not None and t and LETTER.search(t):
+                if model is not None and t and has_letter(t):
                     held.append(trigram_counts(t))
                     at.append(row)
                     if len(held) == 256:
                         flush()
             if held:
                 flush()
-            yield {"doc_id": batch.column("doc_id"), "lang_pred": lang, "score": score, "rejected": [x == "und" or s < m for x, s, m in zip(lang, score.tolist(), least.tolist(), strict=True)]}
+            yield {"doc_id": batch.column("doc_id"), "mark": batch.column("mark"), "lang_pred": lang, "score": score, "rejected": [x == "und" or s < m for x, s, m in zip(lang, score.tolist(), least.tolist(), strict=True)]}
 
-    return map_rows(frame, step, "doc_id long, lang_pred string, score double, rejected boolean")
+    return map_rows(frame, step, "doc_id long, mark long, lang_pred string, score double, rejected boolean")
 
 
 def drop_rejected(docs: DataFrame, model: Centroids | None, max_distance: float = 0.98, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` without the rows that :func:`predict` rejects; only rejected ids are joined."""
-    gone = predict(docs, model, max_distance, id_col, text_col).where("rejected").select(F.col("doc_id").alias("_gone_id")).distinct()
-    return docs.join(gone, F.col(id_col) == F.col("_gone_id"), "left_anti")
+    """``docs`` without the rows that :func:`predict` rejects, each row by its own text (ids may repeat or be null)."""
+    return without_rows(docs, marked_predictions(docs, model, max_distance, id_col, text_col).where("rejected"), id_col, text_col)
