@@ -19,7 +19,7 @@ from signedcluster.llm import (
     token_binary,
     toxicity_gbt,
 )
-from signedcluster.llm.common import fold, map_rows, table
+from signedcluster.llm.common import fold, table
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -83,13 +83,7 @@ def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_token_binary(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder, manifest = token_binary.encode_documents(table(spark, sf_dir, "documents"))
-
-    def digest(batches):
-        for batch in batches:
-            crc = [zlib.crc32(x.as_py()) for x in batch.column("ids")]
-            yield {"doc_id": batch.column("doc_id"), "start": batch.column("start"), "n_tokens": batch.column("n_tokens"), "ids_crc32": crc}
-
-    return map_rows(token_binary.read_token_files(spark, folder, manifest), digest, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return token_binary.read_token_files(spark, folder, manifest, "ids_crc32 long", zlib.crc32)
 
 
 QUERIES = {

@@ -126,11 +126,14 @@ def write_token_files(tokens: DataFrame, folder: str, dtype: str, size: int, sha
     return [tuple(r) for r in done.orderBy("file").collect()]
 
 
-def read_token_files(spark: SparkSession, folder: str, manifest: list[tuple[str, int, int]]) -> DataFrame:
-    """``(doc_id, start, n_tokens, ids)`` of each document, read from the files; ids as unsigned 32-bit binaries."""
-    starts, at = [], 0
-    for name, _, n in manifest:
-        starts.append((name, at))
+def read_token_files(spark: SparkSession, folder: str, manifest: list[tuple[str, int, int]], column: str = "ids binary", made=bytes) -> DataFrame:
+    """``(doc_id, start, n_tokens, ids)`` of each document, read from the files; ids as unsigned 32-bit binaries.
+
+    ``column`` and ``made`` (of such a binary) name what else is wanted in place of the ids, so that only it leaves the task.
+    """
+    starts, at, name = [], 0, column.split()[0]
+    for file, _, n in manifest:
+        starts.append((file, at))
         at += n
     shards = spark.createDataFrame(starts, "file string, first long")
     if starts:
@@ -141,21 +144,21 @@ def read_token_files(spark: SparkSession, folder: str, manifest: list[tuple[str,
         with store.open_input_stream(f"{base}/ranks.bin") as f:
             order = np.frombuffer(f.read(), "<u4")
         for batch in batches:
-            for name, at in zip(batch.column("file").to_pylist(), batch.column("first").to_pylist(), strict=True):
-                rows = {"doc_id": [], "start": [], "n_tokens": [], "ids": []}
-                with store.open_input_stream(f"{base}/{name}") as f:
+            for file, at in zip(batch.column("file").to_pylist(), batch.column("first").to_pylist(), strict=True):
+                rows = {"doc_id": [], "start": [], "n_tokens": [], name: []}
+                with store.open_input_stream(f"{base}/{file}") as f:
                     for d, ranks in read_blocks(f):
                         rows["doc_id"].append(d)
                         rows["start"].append(at)
                         rows["n_tokens"].append(len(ranks))
-                        rows["ids"].append(order[ranks].tobytes())
+                        rows[name].append(made(order[ranks].tobytes()))
                         at += len(ranks)
                         if len(rows["doc_id"]) >= 500:
                             yield rows
                             rows = {k: [] for k in rows}
                 yield rows
 
-    return map_rows(shards, step, "doc_id long, start long, n_tokens long, ids binary")
+    return map_rows(shards, step, f"doc_id long, start long, n_tokens long, {column}")
 
 
 def encode_documents(
