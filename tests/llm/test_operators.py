@@ -207,7 +207,7 @@ def test_packing(docs, none):
 def test_packing_prefers_lexical_neighbours():
     terms = [np.array(x) for x in ([1, 2], [3, 4], [1, 2], [3, 4])]
     idf = np.ones(8, np.float32)
-    index = bm25_packing.Postings(terms, [np.ones(2)] * 4, np.full(4, 2), idf, 2.0)
+    index = bm25_packing.Postings(terms, [np.ones(2)] * 4, np.full(4, 2), idf, 2.0, dense=1.0)
     windows = list(bm25_packing.fill_windows([6, 6, 4, 4], index, 10))
     assert [sorted(k for k, _, _ in w) for w in windows] == [[0, 2], [1, 3]]
 
@@ -505,3 +505,29 @@ def test_without_rows_by_filter(spark, monkeypatch):
     monkeypatch.setattr(common, "FILTER_BITS", 1 << 15)
     assert sorted(map(str, common.without_rows(docs, gone).collect())) == want and 0 < len(want) < 5002
     assert common.without_rows(docs, gone).columns == docs.columns
+
+
+def test_scores_are_bm25_over_all_terms():
+    draw = np.random.default_rng(8)
+    docs = [np.minimum(draw.zipf(1.3, draw.integers(1, 400)), 300) - 1 for _ in range(60)]
+    docs[5] = np.full(700, 3)
+    terms, counts = zip(*(np.unique(d, return_counts=True) for d in docs), strict=True)
+    df = np.bincount(np.concatenate(terms), minlength=300)
+    idf = np.log1p((60 - df + 0.5) / (df + 0.5)).astype(np.float32)
+    lengths = np.array([len(d) for d in docs])
+    for dense in (0.0, 0.05, 0.5, 1.0):
+        index = bm25_packing.Postings(list(terms), list(counts), lengths, idf, lengths.mean(), dense)
+        for seed in (0, 5, 33):
+            want = []
+            for t, c, n in zip(terms, counts, lengths, strict=True):
+                tf = dict(zip(t.tolist(), c.tolist(), strict=True))
+                want.append(sum(idf[x] * tf[x] * 2.2 / (tf[x] + 1.2 * (0.25 + 0.75 * n / lengths.mean())) for x in terms[seed].tolist() if x in tf))
+            assert np.allclose(index.scores(seed), want, rtol=1e-3, atol=1e-3)
+
+
+def test_shards_are_bounded_and_keep_routes_together():
+    df = np.arange(100) + 1
+    plan = bm25_packing.plan_shards([(-1, 5), (3, 40), (4, 70), (7, 1000), (9, 30), (12, 60)], df, 100)
+    assert plan == [(-1, 0, 1), (3, 0, 1), (4, 1, 1), (7, 2, 10), (9, 12, 1), (12, 12, 1)]
+    assert bm25_packing.route_of(np.array([5, 9, 2]), np.array([0, 0, 4, 0, 0, 1, 0, 0, 0, 2])) == 9
+    assert bm25_packing.route_of(np.array([5]), np.array([0, 0, 4, 0, 0, 1])) == -1
