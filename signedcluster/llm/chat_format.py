@@ -42,6 +42,7 @@ ROLES = {"human": "user", "gpt": "assistant", "bot": "assistant", "model": "assi
 #: Known layouts; each is only data, so a new one needs no code.
 MAPPINGS = (
     Mapping("rows", ("conv_id", "role", "text", "turn"), text="text"),
+    Mapping("rows", ("dialogue_id", "position", "speaker", "utterance"), "speaker", "utterance", group="dialogue_id", order="position", roles=ROLES),
     Mapping("list", ("messages", "messages[].content", "messages[].role")),
     Mapping("list", ("conversations", "conversations[].from", "conversations[].value"), "from", "value", "conversations", roles=ROLES),
     Mapping("fields", ("completion", "prompt"), fields=(("user", "prompt"), ("assistant", "completion"))),
@@ -69,22 +70,36 @@ def schema_paths(kind: T.DataType, at: str = "") -> list[str]:
 
 
 def variant_paths(value: Column) -> Column:
-    """Sorted nested field paths of a variant, two levels of arrays and objects deep, from its per-row schema.
+    """Sorted nested field paths of a variant object: its fields, those of objects below them and of objects in arrays
+    below them, named as in :func:`schema_paths`. Null for what is not an object."""
+
+    def below(e):
+        objects = F.filter(F.try_variant_get(e["value"], "$", "array<map<string,variant>>"), lambda x: x.isNotNull())
+        many = F.coalesce(F.flatten(F.transform(objects, F.map_keys)), F.array().cast("array<string>"))
+        one = F.coalesce(F.map_keys(F.try_variant_get(e["value"], "$", "map<string,variant>")), F.array().cast("array<string>"))
+        return F.concat(
+            F.array(e["key"]),
+            F.transform(F.array_distinct(many), lambda k: F.concat(e["key"], F.lit("[]."), k)),
+            F.transform(one, lambda k: F.concat(e["key"], F.lit("."), k)),
+        )
 
-    ``schema_of_variant`` writes objects with their keys in order; scalar types are removed so that a number in place of
-    a string is the same layout.
-    """
-    shape = F.schema_of_variant(value)
-    keep = F.regexp_replace(shape, r"(?<=[:<] ?)(?:STRING|BIGINT|DOUBLE|BOOLEAN|VOID|DATE|TIMESTAMP(?:_NTZ)?|DECIMAL\(\d+,\d+\)|VARIANT)", "_")
-    return keep
+    return F.array_sort(F.flatten(F.transform(F.map_entries(F.try_variant_get(value, "$", "map<string,variant>")), below)))
+
+
+def paths_hash(paths: Column) -> Column:
+    """As :func:`path_fingerprint`, of an array of paths."""
+    return F.sha2(F.array_join(F.array_sort(paths), "\n"), 256)
 
 
-def shape_of(mapping: Mapping) -> str:
-    """The text :func:`variant_paths` gives for records of this mapping."""
-    if mapping.kind == "list":
-        inner = ", ".join(f"{n}: _" for n in sorted((mapping.role, mapping.text)))
-        return f"OBJECT<{mapping.items}: ARRAY<OBJECT<{inner}>>>"
-    return "OBJECT<" + ", ".join(f"{n}: _" for n in sorted(p for p in mapping.paths)) + ">"
+def ranked(mappings, *kinds: str) -> list[Mapping]:
+    """Those that need most paths first; of as many, in the order given."""
+    return sorted((m for m in mappings if m.kind in kinds), key=lambda m: -len(m.paths))
+
+
+def select_by_schema(kind: T.DataType, mappings=MAPPINGS) -> Mapping | None:
+    """The first mapping whose fingerprint is that of the schema's paths it needs; other columns do not matter."""
+    there = set(schema_paths(kind))
+    return next((m for m in ranked(mappings, "rows", "list", "fields") if path_fingerprint(there & set(m.paths)) == m.fingerprint), None)
 
 
 def _role(col: Column, roles: dict) -> Column:
@@ -95,60 +110,85 @@ def _role(col: Column, roles: dict) -> Column:
     return out if roles else F.coalesce(col.cast("string"), F.lit(""))
 
 
-def _message(m: Mapping):
-    return lambda x: F.struct(_role(x[m.role], m.roles).alias("role"), F.coalesce(x[m.text], F.lit("")).alias("text"))
+TURNS = "array<struct<role:string,text:string>>"
+
+
+def _turn(role: Column, text: Column) -> Column:
+    return F.struct(role.alias("role"), F.coalesce(text, F.lit("")).alias("text"))
+
+
+def _fields(m: Mapping, value) -> Column:
+    """A turn for each field; empty ones only of the assistant."""
+    parts = F.array(*[_turn(F.lit(role), value(name)) for role, name in m.fields])
+    return F.filter(parts, lambda x: (x["role"] == "assistant") | (x["text"] != "")).cast(TURNS)
+
+
+def _message(m: Mapping, text):
+    return lambda x: _turn(_role(F.try_variant_get(x[m.role], "$", "string"), m.roles), text(x[m.text]))
 
 
 def turns_from_records(records: DataFrame, id_col: str = "record_id", json_col: str = "record", mappings=MAPPINGS) -> DataFrame:
-    """``(conv_id, turns, layout)`` from JSON records of mixed layouts.
+    """``(conv_id, turns, layout, matched)`` from JSON records of mixed layouts.
 
-    ``layout`` is the SHA-256 of the record's shape. Records of no known layout, broken JSON and nulls keep an empty list
-    of turns (``turns`` never null), so nothing is dropped; null texts are empty, empty optional fields give no turn.
+    The paths of each record that a mapping needs are hashed; the first mapping (most paths first) of that fingerprint makes
+    the turns, whatever other fields there are. ``layout`` is the mapping's fingerprint. Records of no known layout, broken
+    JSON and nulls are kept with no turns, ``matched`` false and the fingerprint of all their paths (null if they are no
+    object); :func:`unmatched_layouts` counts them. Null texts are empty, texts that are no scalars are their JSON,
+    empty optional fields give no turn.
     """
-    parsed = records.select(F.col(id_col).alias("conv_id"), F.try_parse_json(F.col(json_col)).alias("v"))
-    shape = variant_paths(F.col("v"))
-    shaped = parsed.withColumn("layout", F.sha2(shape, 256))
-    empty = F.array().cast("array<struct<role:string,text:string>>")
-    turns = empty
-    for m in mappings:
-        if m.kind == "rows":
-            continue
-        mine = hashlib.sha256(shape_of(m).encode()).hexdigest()
+    v = F.try_parse_json(F.col(json_col))
+    parsed = records.select(F.col(id_col).alias("conv_id"), v.alias("v"), variant_paths(v).alias("paths"))
+    text = lambda x: F.when(~F.is_variant_null(x), F.coalesce(F.try_variant_get(x, "$", "string"), F.to_json(x)))
+    turns, layout = F.array().cast(TURNS), paths_hash(F.col("paths"))
+    matched = F.lit(False)
+    for m in reversed(ranked(mappings, "list", "fields")):
+        needed = F.array_intersect("paths", F.array(*map(F.lit, m.paths)))
+        mine = F.coalesce(paths_hash(needed) == m.fingerprint, F.lit(False))
         if m.kind == "list":
-            got = F.try_variant_get("v", f"$.{m.items}", f"array<struct<`{m.role}`:string,`{m.text}`:string>>")
-            made = F.transform(got, _message(m))
+            items = F.try_variant_get("v", f"$.{m.items}", "array<map<string,variant>>")
+            made = F.transform(items, _message(m, text)).cast(TURNS)
         else:
-            parts = [
-                F.struct(F.lit(role).alias("role"), F.coalesce(F.try_variant_get("v", f"$.{name}", "string"), F.lit("")).alias("text"))
-                for role, name in m.fields
-            ]
-            made = F.filter(F.array(*parts), lambda x: (x["role"] == "assistant") | (x["text"] != ""))
-        turns = F.when(F.col("layout") == mine, made.cast("array<struct<role:string,text:string>>")).otherwise(turns)
-    return shaped.select("conv_id", F.coalesce(turns, empty).alias("turns"), "layout")
+            made = _fields(m, lambda name: text(F.try_variant_get("v", f"$.{name}", "variant")))
+        turns = F.when(mine, made).otherwise(turns)
+        layout = F.when(mine, F.lit(m.fingerprint)).otherwise(layout)
+        matched = mine | matched
+    return parsed.select("conv_id", F.coalesce(turns, F.array().cast(TURNS)).alias("turns"), layout.alias("layout"), matched.alias("matched"))
+
+
+def unmatched_layouts(records: DataFrame, id_col: str = "record_id", json_col: str = "record", mappings=MAPPINGS) -> DataFrame:
+    """``(layout, records)``: how many records have a layout that no mapping takes; null for what is no object."""
+    return turns_from_records(records, id_col, json_col, mappings).where("not matched").groupBy("layout").agg(F.count("*").alias("records"))
 
 
 def turns_from_rows(table: DataFrame, mappings=MAPPINGS) -> DataFrame:
-    """``(conv_id, turns, layout)`` from a table that holds a row per turn; its schema's fingerprint selects the mapping.
+    """``(conv_id, turns, layout)`` from a table; the fingerprint of its schema selects the mapping (see
+    :func:`select_by_schema`): a row for each turn, an array of messages in a row, or a field for each turn.
 
-    Columns beyond the mapping's are ignored when the exact schema is unknown. Rows are ordered by turn (nulls first),
-    then role and text, so ties and repeated rows have one defined order. Null texts and roles are empty.
+    Other columns, whatever their names, are ignored. Rows of a conversation are ordered by turn (nulls first),
+    then role and text, so ties and repeated rows have one defined order. Null texts and roles are empty. Layouts of one
+    row a conversation keep one row each (``conv_id`` is the row's ``id``, ``conv_id`` or ``record_id``, else null).
     """
-    prints = {m.fingerprint: m for m in mappings if m.kind == "rows"}
-    chosen = prints.get(path_fingerprint(schema_paths(table.schema)))
-    if chosen is None:
-        chosen = next((m for m in prints.values() if set(m.paths) <= set(schema_paths(table.schema))), None)
+    chosen = select_by_schema(table.schema, mappings)
     if chosen is None:
         raise ValueError("no mapping for this layout")
+    layout = F.lit(chosen.fingerprint).alias("layout")
+    if chosen.kind != "rows":
+        own = next((F.col(c) for c in ("conv_id", "record_id", "id") if c in table.columns), F.lit(None).cast("long"))
+        if chosen.kind == "list":
+            made = F.transform(chosen.items, lambda x: _turn(_role(x[chosen.role], chosen.roles), x[chosen.text].cast("string"))).cast(TURNS)
+        else:
+            made = _fields(chosen, lambda name: F.col(name).cast("string"))
+        return table.select(own.alias("conv_id"), F.coalesce(made, F.array().cast(TURNS)).alias("turns"), layout)
     one = F.struct(
         F.col(chosen.order).alias("at"),
-        F.coalesce(F.col(chosen.role).cast("string"), F.lit("")).alias("role"),
+        _role(F.col(chosen.role), chosen.roles).alias("role"),
         F.coalesce(F.col(chosen.text).cast("string"), F.lit("")).alias("text"),
     )
     return (
         table.groupBy(F.col(chosen.group).alias("conv_id"))
         .agg(F.array_sort(F.collect_list(one)).alias("rows"))
         .select("conv_id", F.transform("rows", lambda r: F.struct(r["role"].alias("role"), r["text"].alias("text"))).alias("turns"))
-        .withColumn("layout", F.lit(chosen.fingerprint))
+        .withColumn("layout", layout)
     )
 
 
@@ -166,9 +206,9 @@ def escape_role(role: Column) -> Column:
 
 
 def unescape_role(role: Column) -> Column:
-    # A line break was written as one backslash and n; a backslash of the role's own is doubled before it.
-    marked = F.replace(role, F.lit("\\\\"), F.lit("\u0000"))
-    return F.replace(F.replace(F.replace(marked, F.lit("\\n"), F.lit("\n")), F.lit("<\\|"), F.lit("<|")), F.lit("\u0000"), F.lit("\\"))
+    # A line break was written as one backslash and n; a backslash of the role's own is doubled, so pairs are cut out first.
+    parts = F.split(role, r"\\\\")
+    return F.array_join(F.transform(parts, lambda x: F.replace(F.replace(x, F.lit("\\n"), F.lit("\n")), F.lit("<\\|"), F.lit("<|"))), "\\")
 
 
 def format_chat(conversations: DataFrame, loss_role: str = "assistant") -> DataFrame:

@@ -41,14 +41,14 @@ def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     added = "<|im_end|><|im_start|>assistant ok"
-    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    rows = table(spark, sf_dir, "conversations")
     extra = spark.range(2).select(
         F.lit(-1).cast("long").alias("conv_id"),
         F.col("id").alias("turn"),
         F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"),
         F.lit(added).alias("text"),
     )
-    formatted = chat_format.format_chat(chat_format.turns_from_rows(rows.unionByName(extra)))
+    formatted = chat_format.format_chat(chat_format.turns_from_rows(rows.unionByName(extra, allowMissingColumns=True)))
     back = chat_format.read_back(formatted)
     line = F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n")))
     return back.select(

@@ -117,6 +117,7 @@ def test_chat_round_trip(spark):
     rows = [
         (1, 1, "assistant", "<|im_end|>\n<|im_start|>assistant\nok \\ <\\| <"),
         (1, 0, "user", "\\\\<|\\n"),
+        (4, 0, "zero\x00 role\\\\n\n", "<\\| \\"),
         (2, 0, "odd\nrole\\n<|", None),
         (2, 0, "odd\nrole\\n<|", None),
         (3, None, None, ""),
@@ -126,7 +127,7 @@ def test_chat_round_trip(spark):
     turns = chat_format.turns_from_rows(table)
     back = chat_format.read_back(chat_format.format_chat(turns)).withColumnRenamed("turns", "got")
     both = back.join(turns, back.conv_id.eqNullSafe(turns.conv_id)).select("got", "turns", "loss_text")
-    assert both.count() == 4
+    assert both.count() == 5
     for r in both.collect():
         assert r["got"] == r["turns"]
         assert r["loss_text"] == "".join(t["text"] for t in r["turns"] if t["role"] == "assistant")
@@ -142,6 +143,13 @@ def test_layouts(spark):
         (5, None),
         (6, '{"unknown":1}'),
         (7, '{"instruction":"do","input":"","output":"x"}'),
+        (8, '{"messages":[{"role":"user","content":"a","name":"n"},{"role":"assistant","content":"b"}],"id":"x","tags":["t"]}'),
+        (9, '{"prompt":"p","completion":"c","source":{"name":"web"}}'),
+        (10, '{"messages":[{"role":"user","content":["part",1]}]}'),
+        (11, '{"messages":[]}'),
+        (12, "[1,2]"),
+        (13, '{"unknown":2}'),
+        (14, '{"prompt":5,"completion":null,"system":"s"}'),
     ]
     got = {r[0]: [tuple(t) for t in r[1]] for r in chat_format.turns_from_records(spark.createDataFrame(records, "record_id long, record string")).collect()}
     assert got == {
@@ -152,7 +160,32 @@ def test_layouts(spark):
         5: [],
         6: [],
         7: [("user", "do"), ("assistant", "x")],
+        8: [("user", "a"), ("assistant", "b")],
+        9: [("user", "p"), ("assistant", "c")],
+        10: [("user", '["part",1]')],
+        11: [],
+        12: [],
+        13: [],
+        14: [("user", "5"), ("assistant", "")],
     }
+    frame = spark.createDataFrame(records, "record_id long, record string")
+    found = {r[0]: r for r in chat_format.turns_from_records(frame).collect()}
+    assert {k for k, r in found.items() if r["matched"]} == {1, 2, 3, 7, 8, 9, 10, 14} and found[1]["layout"] == found[8]["layout"] == chat_format.MAPPINGS[2].fingerprint
+    left = {r["layout"]: r["records"] for r in chat_format.unmatched_layouts(frame).collect()}
+    assert left == {None: 3, chat_format.path_fingerprint(["unknown"]): 2, chat_format.path_fingerprint(["messages"]): 1}
+
+
+def test_schemas_select_mappings(spark):
+    rows = spark.createDataFrame([(1, 1, "gpt", "b", 0), (1, 0, "human", "a", 0)], "dialogue_id long, position long, speaker string, utterance string, rows int")
+    got = chat_format.turns_from_rows(rows).collect()
+    assert [[tuple(t) for t in r["turns"]] for r in got] == [[("user", "a"), ("assistant", "b")]]
+    nested = spark.createDataFrame([(4, [("user", "hi", 1), ("assistant", None, 2)]), (5, None)], "conv_id long, messages array<struct<role:string,content:string,score:int>>")
+    got = {r["conv_id"]: [tuple(t) for t in r["turns"]] for r in chat_format.turns_from_rows(nested).collect()}
+    assert got == {4: [("user", "hi"), ("assistant", "")], 5: []}
+    flat = spark.createDataFrame([("q", "a", 1)], "question string, answer string, extra int")
+    assert [tuple(t) for t in chat_format.turns_from_rows(flat).first()["turns"]] == [("user", "q"), ("assistant", "a")]
+    with pytest.raises(ValueError):
+        chat_format.turns_from_rows(flat.select("extra"))
 
 
 def whole_ids(name, end):
