@@ -45,3 +45,32 @@ def map_groups(df: DataFrame, key: str, work, schema: str, *order: str) -> DataF
             yield made()
 
     return df.repartition(key).sortWithinPartitions(key, *order).mapInArrow(run, kinds)
+
+
+def map_tables(df: DataFrame, key: str, work, schema: str) -> DataFrame:
+    """``work(key, Arrow table of its rows) -> arrays by name`` for each value of the long column ``key``, a group at a time."""
+    kinds = StructType.fromDDL(schema)
+    arrow = to_arrow_schema(kinds)
+
+    def run(batches):
+        now, held = None, []
+
+        def made():
+            out = work(now, pa.Table.from_batches(held))
+            return pa.RecordBatch.from_arrays([pa.array(out[f.name], type=f.type) for f in arrow], schema=arrow)
+
+        for batch in batches:
+            keys = batch.column(key).to_numpy(zero_copy_only=False)
+            edges = np.flatnonzero(np.diff(keys)) + 1
+            for a, b in zip([0, *edges.tolist()], [*edges.tolist(), len(keys)], strict=True):
+                if b <= a:
+                    continue
+                if held and keys[a] != now:
+                    yield made()
+                    held = []
+                now = int(keys[a])
+                held.append(batch.slice(a, b - a))
+        if held:
+            yield made()
+
+    return df.repartition(key).sortWithinPartitions(key).mapInArrow(run, kinds)

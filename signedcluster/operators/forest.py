@@ -235,12 +235,13 @@ def augment(g: SignedGraph, matching: DataFrame, max_len: int, seed: int = 42, m
     return now
 
 
-def cluster(g: SignedGraph, how: str = "exact", eps: float = 0.5, cfg: EngineConfig = EngineConfig(), rounds: int = 8) -> DataFrame:
+def cluster(g: SignedGraph, how: str = "exact", eps: float = 0.5, cfg: EngineConfig = EngineConfig(), rounds: int | None = None) -> DataFrame:
     """A clustering of a forest.
 
     ``exact``: maximum matching. ``maximal``: any maximal matching (at most twice the optimum). ``det`` and ``rand``:
     clip at arboricity one, then a matching without augmenting paths below 2 ceil(1/eps) edges, deterministic from a
-    colouring, or from random orders with a cap of ``rounds`` on the flips (its measured ratio is what it promises).
+    colouring, or from random orders. Flips go on until no such path is left, so both reach 1 + eps; with a cap of
+    ``rounds`` on the flips ``rand`` may stop short of it.
     Methods but ``exact`` work on each tree by itself, because the ratio holds for each tree, not for a sum of trees.
     """
     if how == "exact":

@@ -137,12 +137,11 @@ def prefix_degree(g: SignedGraph, prio: DataFrame | None = None, cfg: EngineConf
 
 
 def chunk_component_sizes(g: SignedGraph, cfg: EngineConfig = EngineConfig()) -> DataFrame:
-    """Largest component and number of components of the chunk graphs of the first phase."""
+    """Largest component and number of components of the chunk graphs (components of one vertex left out)."""
     from signedcluster.operators.components import components
 
     low = M.lower_edges(g, priorities(g.vertices, cfg.seed))
-    width = int(SPAN / (cfg.chunk_den * max(g.max_degree, 1)))
-    inner = low.where(F.floor(F.col("pv") / width) == F.floor(F.col("pw") / width))
+    inner = low.where(M.chunk_number(F.col("pv"), g.max_degree, cfg) == M.chunk_number(F.col("pw"), g.max_degree, cfg))
     comp = components(inner.select(F.col("v").alias("u"), F.col("w").alias("v")))
     sizes = comp.groupBy("comp").agg(F.count("*").alias("s"))
     return sizes.agg(F.count("*").alias("components"), F.coalesce(F.max("s"), F.lit(1)).alias("largest"))

@@ -76,6 +76,25 @@ def prefix_cuts(n: int, max_degree: int, c: float) -> list[float]:
     return cuts if cuts and cuts[-1] >= 1 else [*cuts, 1.0]
 
 
+def nth_priorities(prio: DataFrame, places: list[int], bits: int = 16) -> list[int]:
+    """The priorities at 0-based ``places`` of the order: a histogram of the leading ``bits``, then the vertices of the few
+    bins that hold a place. A hashed order fills bins evenly, so a bin has about n / 2^bits priorities."""
+    if not places:
+        return []
+    width = SPAN >> bits
+    own = F.floor(F.col("p") / width).cast("long")
+    counts = dict(prio.groupBy(own.alias("bin")).count().collect())
+    ends, total = [], 0
+    for k in sorted(counts):
+        total += counts[k]
+        ends.append((total, k))
+    found = [next((k, place - (end - counts[k])) for end, k in ends if place < end) for place in places]
+    held: dict[int, list[int]] = {}
+    for k, p in prio.where(own.isin([k for k, _ in found])).select(own, "p").collect():
+        held.setdefault(k, []).append(p)
+    return [sorted(held[k])[at] for k, at in found]
+
+
 def prefix_phased(
     g: SignedGraph,
     prio: DataFrame | None = None,
@@ -87,18 +106,16 @@ def prefix_phased(
 ) -> DataFrame:
     """Phases over growing prefixes of the order, each solved by ``sub`` (local, chunk or hop); then the remainder.
 
-    ``cut='hash'`` takes the prefix by a bound on the hashed priority, which needs no sort; ``'rank'`` by exact position
-    (an ordering of all vertices, for small graphs).
+    ``cut='hash'`` takes the prefix by a bound on the hashed priority; ``'rank'`` by exact position, found by counting
+    (see :func:`nth_priorities`). Neither sorts the vertices.
     """
     prio = priorities(g.vertices, cfg.seed) if prio is None else prio
     n, degree = g.n, g.max_degree
     low = materialize(lower_edges(g, prio), "low")
     cuts = prefix_cuts(n, degree, cfg.prefix_c)
     if cut == "rank":
-        ranked = [r[0] for r in prio.orderBy("p", "v").select("p").collect()] if n <= 1_000_000 else None
-        if ranked is None:
-            raise ValueError("an exact rank is for small graphs; use cut='hash'")
-        bounds = [ranked[min(n - 1, int(x * n))] if x < 1 else SPAN for x in cuts] if ranked else [SPAN]
+        places = [min(n - 1, int(x * n)) for x in cuts if x < 1]
+        bounds = [*nth_priorities(prio, places), SPAN]
     else:
         bounds = [int(x * SPAN) if x < 1 else SPAN for x in cuts]
     killed = low.select("v").limit(0)
@@ -132,19 +149,29 @@ def degree_of(low: DataFrame) -> int:
     return ends.groupBy("v").count().agg(F.max("count")).first()[0] or 0
 
 
-def chunk_bounds(n: int, degree: int, cfg: EngineConfig, first: int = 0, last: int = SPAN) -> list[int]:
-    """Ends of half-open chunks of the hashed order. In phase i a chunk holds about 2^i n / (den degree) of the n
-    vertices, and there are iter_mult log2(degree) of them."""
-    bounds, at, i, last = [], float(first), 0, float(last)
-    while at < last:
-        share = 2**i / (cfg.chunk_den * max(degree, 1))
-        for _ in range(max(1, ceil(cfg.iter_mult * log2(max(degree, 2))))):
-            at = min(last, at + share * SPAN)
-            bounds.append(int(at))
-            if at >= last:
-                break
-        i += 1
-    return bounds
+def chunks_a_phase(degree: int, cfg: EngineConfig) -> int:
+    return max(1, ceil(cfg.iter_mult * log2(max(degree, 2))))
+
+
+def chunk_number(p, degree: int, cfg: EngineConfig):
+    """Number of the chunk of a priority, for any number of chunks: phase i has iter_mult log2(degree) chunks that each
+    hold about 2^i / (den degree) of the order, so it begins where 2^i - 1 phases of the first width end."""
+    many = chunks_a_phase(degree, cfg)
+    width = SPAN / (cfg.chunk_den * max(degree, 1))
+    phase = F.floor(F.log2(p / F.lit(many * width) + 1))
+    inside = F.floor((p - (F.pow(F.lit(2.0), phase) - 1) * (many * width)) / (F.pow(F.lit(2.0), phase) * width))
+    return (phase * many + F.greatest(F.lit(0), F.least(F.lit(many - 1), inside))).cast("long")
+
+
+def chunk_schedule(degree: int, cfg: EngineConfig) -> list[tuple[int, int, float]]:
+    """(phase, chunks in it, share of the order in one) until the whole order is covered."""
+    many, out, at, phase = chunks_a_phase(degree, cfg), [], 0.0, 0
+    while at < 1:
+        share = 2**phase / (cfg.chunk_den * max(degree, 1))
+        n = min(many, ceil(round((1 - at) / share, 9)))
+        out.append((phase, n, share))
+        at, phase = at + many * share, phase + 1
+    return out
 
 
 def greedy_component(_, rows) -> list[tuple]:
@@ -172,14 +199,7 @@ def chunk_kills(low: DataFrame, n: int, ledger=None, cfg: EngineConfig = EngineC
     degree = degree_of(low)
     if not degree:
         return low.select("v")
-    top = low.agg(F.max("pv")).first()[0] + 1
-    bounds = chunk_bounds(n, degree, cfg, 0, top)
-    number = lambda p: F.expr(f"int(array_size(filter(array({','.join(f'{b}L' for b in bounds)}), b -> b <= {p})))") if len(bounds) <= 64 else None
-    if len(bounds) > 64:
-        # Many equal chunks (the paper's constants): the number by division, phases beyond the first by their own width.
-        width = max(1, bounds[0])
-        number = lambda p: F.floor(F.col(p) / F.lit(width)).cast("int")
-    low = low.withColumn("cv", number("pv")).withColumn("cw", number("pw"))
+    low = low.withColumn("cv", chunk_number(F.col("pv"), degree, cfg)).withColumn("cw", chunk_number(F.col("pw"), degree, cfg))
     inner = low.where("cv = cw")
     comp = materialize(components(inner.select(F.col("v").alias("u"), F.col("w").alias("v"))), "comp")
     low = materialize(low.join(comp, "v", "left"), "low")
@@ -249,16 +269,19 @@ def hop_kills(low: DataFrame, n: int, radius: int | None = None, ledger=None, cf
     """Each vertex gathers its lower neighbourhood of ``radius`` hops by doubling, then every phase decides as many steps
     inside one task as the radius allows; statuses are refreshed between phases.
 
-    Only falling paths are gathered (later vertices cannot matter). If the estimated rows pass ``cfg.hop_row_cap`` the
-    direct rounds are used instead.
+    Only falling paths are gathered (later vertices cannot matter). While the estimated rows pass ``cfg.hop_row_cap`` the
+    radius is lowered, which the ledger tells (method ``hop-radius``); at radius one a ball is a vertex's own edges.
     """
     low = materialize(low, "low")
     degree = degree_of(low)
     if not degree:
         return low.select("v")
     radius = radius or hop_radius(n, degree)
-    if low.count() * min(degree, 1000) ** (radius - 1) > cfg.hop_row_cap:
-        return kill_rounds(low, ledger, phase)
+    edges = low.count()
+    while radius > 1 and edges * min(degree, 1000) ** (radius - 1) > cfg.hop_row_cap:
+        radius -= 1
+    if ledger is not None:
+        ledger.add("hop-radius", phase, radius, edges, exchanges=0)
     reach = low.select(F.col("v").alias("root"), F.col("w").alias("at"), F.lit(1).alias("hops"))
     reach = reach.unionByName(low.select(F.explode(F.array("v", "w")).alias("root")).distinct().select("root", F.col("root").alias("at"), F.lit(0).alias("hops")))
     have = 1
@@ -286,10 +309,3 @@ def hop_kills(low: DataFrame, n: int, radius: int | None = None, ledger=None, cf
 def hop_compressed(g: SignedGraph, prio: DataFrame | None = None, radius: int | None = None, ledger=None, cfg: EngineConfig = EngineConfig()) -> DataFrame:
     prio = priorities(g.vertices, cfg.seed) if prio is None else prio
     return members(g, hop_kills(lower_edges(g, prio), g.n, radius, ledger, cfg))
-
-
-def choose(g: SignedGraph) -> str:
-    """Direct rounds while the degree is small against the order, else phases."""
-    if g.max_degree <= 1:
-        return "pairs"
-    return "local" if log2(g.max_degree) <= 2 * log2(max(2.0, log(max(g.n, 3)))) else "prefix"

@@ -4,9 +4,12 @@ from __future__ import annotations
 
 from math import ceil
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from signedcluster.functions.groups import map_tables
 from signedcluster.model import SignedGraph, normalise
 from signedcluster.shared import materialize
 from signedcluster.sources.tables import load, packed
@@ -73,32 +76,60 @@ def copart(spark: SparkSession, folder: str, least: int = 2) -> SignedGraph:
     return normalise(cooccur_edges(pairs, "l_orderkey", "part", least), parts)
 
 
-def cosine_edges(rows: DataFrame, threshold: float, blocks: int = 8) -> DataFrame:
-    """Pairs of ``rows(id, x array<double>)`` with cosine at least ``threshold``.
+def keyed_products(keyed: DataFrame, threshold: float, block_rows: int) -> DataFrame:
+    """``(u, v)`` of rows of one ``key`` with cosine at least ``threshold``, from ``keyed(key, id, x array<double>)``.
 
-    Exact: rows are cut into blocks and every pair of blocks meets on a key, so no task holds more than two blocks'
-    rows; for very large inputs block by random hyperplanes first (see :func:`hyperplane_edges`).
+    A key's rows are cut into blocks of about ``block_rows``, and each pair of blocks is a bucket that one task multiplies
+    as matrices; a block meets itself once. So no task holds more than two blocks, however many rows a key has.
     """
-    norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda s, v: s + v * v))
-    unit = rows.select("id", F.transform("x", lambda v: v / norm).alias("x")).withColumn("b", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
-    dealt = unit.withColumn("o", other).select("id", "x", F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j"))
-    left = dealt.select("i", "j", F.col("id").alias("u"), F.col("x").alias("xu"))
-    both = left.join(dealt.select("i", "j", F.col("id").alias("v"), F.col("x").alias("xv")), ["i", "j"]).where("u < v")
-    dot = F.aggregate(F.zip_with("xu", "xv", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
-    return both.where(dot >= threshold).select("u", "v").distinct()
-
-
-def hyperplane_edges(rows: DataFrame, threshold: float, bits: int = 8, tables: int = 12, seed: int = 5) -> DataFrame:
-    """Approximate: only pairs that agree on the signs of ``bits`` random projections in one of ``tables`` tables are compared."""
-    sign = lambda t, b: F.aggregate(
-        F.transform("x", lambda v, i: v * (F.pmod(F.xxhash64(i, F.lit(seed + 1000 * t + b)), F.lit(2001)) - 1000)), F.lit(0.0), lambda s, v: s + v
-    ) >= 0
-    keys = F.array(*[F.struct(F.lit(t).alias("t"), *[sign(t, b).alias(f"b{b}") for b in range(bits)]) for t in range(tables)])
-    keyed = rows.select("id", "x", F.explode(keys).alias("k"))
-    pair = keyed.select("k", F.col("id").alias("u"), F.col("x").alias("xu")).join(keyed.select("k", F.col("id").alias("v"), F.col("x").alias("xv")), "k").where("u < v")
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
-    return pair.where(dot("xu", "xv") >= threshold * F.sqrt(dot("xu", "xu")) * F.sqrt(dot("xv", "xv"))).select("u", "v").distinct()
+    keyed = materialize(keyed.where("x is not null"), "vectors")
+    sizes = keyed.groupBy("key").agg(F.ceil(F.count("*") / block_rows).cast("int").alias("blocks"), F.count("*").alias("n")).where("n > 1").drop("n")
+    mine = keyed.join(sizes, "key").withColumn("b", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    mine = mine.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = mine.select(F.xxhash64("key", F.least("b", "o"), F.greatest("b", "o")).alias("bucket"), (F.col("b") > F.col("o")).alias("second"), (F.col("b") == F.col("o")).alias("same"), "id", "x")
+
+    def near(_, rows):
+        ids = rows.column("id").to_numpy()
+        x = rows.column("x").combine_chunks()
+        x = x.flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)
+        x = x / np.sqrt((x * x).sum(1, keepdims=True))
+        if rows.column("same")[0].as_py():
+            i, j = np.nonzero(np.triu(x @ x.T >= threshold, 1))
+            u, v = ids[i], ids[j]
+        else:
+            second = rows.column("second").to_numpy(zero_copy_only=False)
+            i, j = np.nonzero(x[~second] @ x[second].T >= threshold)
+            u, v = ids[~second][i], ids[second][j]
+        return {"u": np.minimum(u, v), "v": np.maximum(u, v)}
+
+    return map_tables(dealt, "bucket", near, "u long, v long")
+
+
+def cosine_edges(rows: DataFrame, threshold: float, block_rows: int = 2048) -> DataFrame:
+    """Pairs of ``rows(id, x array<double>)`` with cosine at least ``threshold``, exact: all pairs, each once, by products of
+    blocks. The work is quadratic; for very large inputs see :func:`hyperplane_edges`. Null vectors and those of norm zero have no pair."""
+    return keyed_products(rows.select(F.lit(0).cast("long").alias("key"), "id", "x"), threshold, block_rows)
+
+
+def hyperplane_edges(rows: DataFrame, threshold: float, bits: int = 4, tables: int = 32, seed: int = 5, block_rows: int = 2048) -> DataFrame:
+    """Approximate: only pairs that agree on the signs of ``bits`` random projections in one of ``tables`` tables are
+    compared. A pair at angle t is met with chance 1 - (1 - (1 - t/pi)^bits)^tables."""
+
+    def signs(batches):
+        planes = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x = batch.column("x").flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            if planes is None:
+                planes = np.random.default_rng(seed).standard_normal((x.shape[1], bits * tables))
+            side = (x @ planes >= 0).reshape(len(x), tables, bits)
+            keys = side @ (1 << np.arange(bits)) + (np.arange(tables) << bits)
+            offsets = pa.array(np.arange(len(x) + 1, dtype=np.int32) * tables)
+            yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("x"), pa.ListArray.from_arrays(offsets, pa.array(keys.ravel(), pa.int64()))], ["id", "x", "keys"])
+
+    keyed = rows.where("x is not null").select("id", "x").mapInArrow(signs, "id long, x array<double>, keys array<long>")
+    return keyed_products(keyed.select(F.explode("keys").alias("key"), "id", "x"), threshold, block_rows).distinct()
 
 
 def emb(spark: SparkSession, folder: str, threshold: float = 0.30) -> SignedGraph:
