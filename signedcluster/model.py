@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+from contextlib import contextmanager
 from dataclasses import dataclass, field, replace
 from functools import cached_property
 
@@ -49,6 +51,21 @@ class RoundLedger:
         return spark.createDataFrame(self.rows, "method string, phase int, step int, rows long, max_group long, exchanges int")
 
 
+@contextmanager
+def measured_stages(spark):
+    """A list that gets the jobs and the stages (skipped ones left out) that Spark ran inside the block."""
+    context, group, out = spark.sparkContext, uuid.uuid4().hex, []
+    context.setJobGroup(group, "measured")
+    try:
+        yield out
+    finally:
+        tracker = context.statusTracker()
+        jobs = tracker.getJobIdsForGroup(group)
+        found = [x for j in jobs if (info := tracker.getJobInfo(j)) for s in info.stageIds if (x := tracker.getStageInfo(s))]
+        out += [len(jobs), sum(x.numCompletedTasks > 0 for x in found)]
+        context.setLocalProperty("spark.jobGroup.id", None)
+
+
 class SignedGraph:
     """``vertices(v)`` and canonical positive ``edges(u, v)`` with ``u < v``; every other pair is negative."""
 

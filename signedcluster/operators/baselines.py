@@ -9,7 +9,7 @@ from signedcluster.functions.groups import map_groups
 from signedcluster.functions.priority import SPAN, priorities, priority
 from signedcluster.model import EngineConfig, RoundLedger, SignedGraph
 from signedcluster.operators import mis as M
-from signedcluster.operators import pivot
+from signedcluster.operators import forest, pivot
 from signedcluster.operators.components import components
 from signedcluster.shared import materialize
 
@@ -120,3 +120,8 @@ def component_clusters(g: SignedGraph) -> DataFrame:
 
 def direct_pivot(g: SignedGraph, cfg: EngineConfig = EngineConfig()) -> DataFrame:
     return pivot.cluster(g, None, "local", None, cfg)
+
+
+def maximal_matching_clusters(g: SignedGraph, cfg: EngineConfig = EngineConfig()) -> DataFrame:
+    """Pairs of a maximal matching: at most twice the optimum on forests."""
+    return forest.from_matching(g, forest.maximal_matching(g, cfg.seed))

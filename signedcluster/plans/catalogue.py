@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from signedcluster.functions.priority import SPAN, priorities
-from signedcluster.model import EngineConfig, RoundLedger
+from signedcluster.model import EngineConfig, RoundLedger, measured_stages
 from signedcluster.operators import arboricity, baselines, clip, components, exact, exchange, forest, measure, mis, pivot, simple
 from signedcluster.plans import graph_sql as S
 from signedcluster.plans import table_queries
@@ -146,7 +146,7 @@ def local_min_label(spark, folder):
     return exchange.min_labels(graph(spark, folder, "emb_30"), 3)
 
 
-@query()
+@query(g_sql("emb_30", S.DEG, select="SELECT x.v, x.d, (SELECT sum(d.d) FROM adj a JOIN deg d ON d.v = a.w WHERE a.v = x.v)::BIGINT AS got FROM deg x"))
 def congest_round(spark, folder):
     """A round whose messages are checked to be of fixed width."""
     g = graph(spark, folder, "emb_30")
@@ -198,6 +198,16 @@ def clip_stats(spark, folder):
     return clip.stats(graph(spark, folder, "geo"), 2.0, 1)
 
 
+#: Rounds of peeling: edges left (pe), degrees (rd), limit and density bound of each round (rl).
+_PEEL = [
+    """pe(u, v, it) AS (SELECT u, v, 0 FROM edges UNION ALL (
+      WITH d AS (SELECT x AS v, count(*) AS d FROM (SELECT u AS x FROM pe UNION ALL SELECT v FROM pe) GROUP BY 1), l AS (SELECT floor((1 + 0.1::DOUBLE) * sum(d) / count(*)) AS l FROM d)
+      SELECT p.u, p.v, p.it + 1 FROM pe p JOIN d a ON a.v = p.u JOIN d b ON b.v = p.v, l WHERE a.d > l AND b.d > l))""",
+    "rd AS MATERIALIZED (SELECT it, x AS v, count(*) AS d FROM (SELECT it, u AS x FROM pe UNION ALL SELECT it, v FROM pe) GROUP BY 1, 2)",
+    "rl AS MATERIALIZED (SELECT it, floor((1 + 0.1::DOUBLE) * sum(d) / count(*)) AS l, ceil(sum(d) / 2 / greatest(count(*) - 1, 1)) AS lo FROM rd GROUP BY 1)",
+]
+
+
 def _pair_costs_sql(name, limit):
     return g_sql(
         name,
@@ -223,18 +233,48 @@ def clip_vs_pivot(spark, folder):
     return _pair_costs(spark, folder, "geo", 1)
 
 
-@query(union_sql([_pair_costs_sql("scalefree_customers", 24)]))
+@query(union_sql([_pair_costs_sql(n, 24) for n in ("scalefree_customers", "scalefree_orders")]))
 def w_scalefree_clip(spark, folder):
-    return _pair_costs(spark, folder, "scalefree_customers", 2)
+    return union([_pair_costs(spark, folder, n, 2) for n in ("scalefree_customers", "scalefree_orders")])
+
+
+SEEDS = (42, 43, 44, 45, 46)
+
+
+def _seed_costs_sql(name, limit):
+    parts = []
+    for seed in SEEDS:
+        tables = [*S.mis(str(seed)), S.clustering(), *S.clipped_pivot(limit, str(seed)), f"a AS (SELECT pos_dis + neg_dis AS c FROM ({S.cost('cl')}))", f"b AS (SELECT pos_dis + neg_dis AS c FROM ({S.cost('ccl')}))"]
+        parts.append(g_sql(name, *tables, select=f"SELECT {seed} AS seed, a.c AS pivot_cost, b.c AS clipped_cost FROM a, b"))
+    return union_sql(parts)
+
+
+@query(_seed_costs_sql("scalefree_customers", 24))
+def w_scalefree_seeds(spark, folder):
+    """Clipped and unclipped cost under five orders of one scale-free graph."""
+    g, rows = graph(spark, folder, "scalefree_customers"), []
+    for seed in SEEDS:
+        cfg = EngineConfig(seed=seed)
+        cut = clip.cluster(g, 2.0, 2, lambda rest, cfg=cfg: pivot.cluster(rest, cfg=cfg))
+        rows.append((seed, _matching_cost(g, pivot.cluster(g, cfg=cfg)), _matching_cost(g, cut)))
+    return spark.createDataFrame(rows, "seed int, pivot_cost long, clipped_cost long")
+
 
+def _hub_sql(name):
+    """As :func:`_pair_costs_sql`, the threshold 12 times the upper arboricity bound of peeling."""
+    bound = "(SELECT 12 * max(d) FROM rd JOIN rl USING (it) WHERE d <= l)"
+    tables = [*_PEEL, *_PIVOT, *S.clipped_pivot(bound), f"a AS (SELECT pos_dis + neg_dis AS c FROM ({S.cost('cl')}))", f"b AS (SELECT pos_dis + neg_dis AS c FROM ({S.cost('ccl')}))"]
+    return g_sql(name, *tables, select=f"SELECT '{name}' AS graph, (SELECT count(*) FROM vertices) AS n, (SELECT count(*) FROM edges) AS m, (SELECT max(d) FROM deg)::BIGINT AS max_degree, (SELECT count(*) FROM deg WHERE d > {bound}) AS high, a.c AS pivot_cost, b.c AS clipped_cost FROM a, b")
 
-@query(union_sql([_pair_costs_sql("geo", 12), _pair_costs_sql("part_supp", 396)]))
+
+@query(union_sql([_hub_sql("geo"), _hub_sql("part_supp")]))
 def w_hub_graphs(spark, folder):
-    """Arboricity far below the largest degree; part_supp with the upper bound 33 found at sf0.01."""
-    return _pair_costs(spark, folder, "geo", 1).unionByName(_pair_costs(spark, folder, "part_supp", 33))
+    """Arboricity far below the largest degree, bounded from above on each graph by peeling."""
+    return union([_pair_costs(spark, folder, n, arboricity.bounds(graph(spark, folder, n))[1]) for n in ("geo", "part_supp")])
 
 
-BEST_K = 4
+#: Runs of ``w_best_of``; ``pivot_best_of`` makes log2 n of them.
+BEST_K = 8
 
 
 def _copies_sql(k):
@@ -254,16 +294,16 @@ def _copies_sql(k):
     ]
 
 
-@query(g_sql("emb_30", *_copies_sql(BEST_K), select="SELECT copy, (pos_dis + neg_dis)::BIGINT AS cost FROM costs"))
+@query(g_sql("emb_30", *_copies_sql("(SELECT greatest(ceil(log2(count(*))), 1)::BIGINT FROM vertices)"), select="SELECT copy, (pos_dis + neg_dis)::BIGINT AS cost FROM costs"))
 def pivot_best_of(spark, folder):
-    """Costs of independent runs that share every shuffle."""
-    return pivot.best_of(graph(spark, folder, "emb_30"), BEST_K)[1].select("copy", "cost")
+    """Costs of log2 n independent runs that share every shuffle."""
+    return pivot.best_of(graph(spark, folder, "emb_30"))[1].select("copy", "cost")
 
 
-@query(g_sql("emb_30", *_copies_sql(8), select="SELECT k.range AS k, (SELECT min(pos_dis + neg_dis)::BIGINT FROM costs WHERE copy < k.range) AS best FROM range(1, 9) k"))
+@query(g_sql("emb_30", *_copies_sql(BEST_K), select="SELECT k.range AS k, (SELECT min(pos_dis + neg_dis)::BIGINT FROM costs WHERE copy < k.range) AS best FROM range(1, 9) k"))
 def w_best_of(spark, folder):
     """Least cost of the first k runs."""
-    costs = pivot.best_of(graph(spark, folder, "emb_30"), 8)[1]
+    costs = pivot.best_of(graph(spark, folder, "emb_30"), BEST_K)[1]
     k = spark.range(1, 9).select(F.col("id").alias("k"))
     return k.join(costs, F.col("copy") < F.col("k")).groupBy("k").agg(F.min("cost").alias("best"))
 
@@ -286,6 +326,9 @@ _ISLANDS = """WITH e AS (SELECT event_id, user_id, ts, coalesce(epoch_us(ts) - e
 _EVENT_M = f"(SELECT sum(n // 2) FROM ({_ISLANDS} SELECT n FROM s))::BIGINT"
 
 
+_CONV_M = f"(SELECT coalesce(sum(n // 2), 0) FROM (SELECT v - k AS g, count(*) AS n FROM (SELECT v, row_number() OVER (ORDER BY v) AS k FROM ({S.GRAPHS['conv_chain'][0]})) GROUP BY 1))::BIGINT"
+
+
 @query(f"SELECT 'geo' AS graph, count(*) AS matching FROM ({_geo_matching_sql()}) UNION ALL SELECT 'event_chain', {_EVENT_M}")
 def forest_matching_size(spark, folder):
     rows = [(n, forest.max_matching(graph(spark, folder, n)).count()) for n in ("geo", "event_chain")]
@@ -330,6 +373,23 @@ def forest_ratio(spark, folder):
     return spark.createDataFrame(rows, "method string, cost long, bound double, within boolean")
 
 
+RATIOS = tuple((g, how, eps) for g in ("event_chain", "conv_chain", "geo") for how in ("det", "rand") for eps in (0.5, 1.0))
+_OPT = {
+    "event_chain": f"(SELECT count(*) FROM ({S.GRAPHS['event_chain'][1]})) - {_EVENT_M}",
+    "conv_chain": f"(SELECT count(*) FROM ({S.GRAPHS['conv_chain'][1]})) - {_CONV_M}",
+    "geo": f"(SELECT count(*) FROM ({S.GRAPHS['geo'][1]})) - (SELECT count(*) FROM ({_geo_matching_sql()}))",
+}
+
+
+@query(" UNION ALL ".join(f"SELECT '{g}' AS graph, '{how}' AS method, {eps}::DOUBLE AS eps, {_OPT[g]} AS opt, true AS within" for g, how, eps in RATIOS))
+def w_forest_ratios(spark, folder):
+    """Both approximate forest methods stay within 1 + eps of the optimum on each forest."""
+    held = {n: graph(spark, folder, n) for n, _, _ in RATIOS}
+    opt = {n: _matching_cost(g, forest.cluster(g, "exact")) for n, g in held.items()}
+    rows = [(n, how, eps, opt[n], _matching_cost(held[n], forest.cluster(held[n], how, eps)) <= (1 + eps) * opt[n] + 1e-9) for n, how, eps in RATIOS]
+    return spark.createDataFrame(rows, "graph string, method string, eps double, opt long, within boolean")
+
+
 @query()
 def forest_det(spark, folder):
     g = graph(spark, folder, "event_chain")
@@ -375,6 +435,61 @@ def simple_cliques(spark, folder):
     return simple.clique_components(graph(spark, folder, "emb_40"))
 
 
+def _schedule_sql(name, constants):
+    """Phases of doubling chunks: iter log2(degree) chunks of 2^i / (den degree) of the order each, the last phase cut."""
+    parts = []
+    for kind, den, mult in constants:
+        parts.append(
+            f"SELECT '{kind}' AS constants, i AS phase, least(many, ceil(round((1 - covered) / share, 9)))::BIGINT AS chunks, share FROM (SELECT i, many, share, (pow(2, i) - 1) * many / ({den} * d) AS covered FROM "
+            f"(SELECT range AS i, ceil({mult} * log2(d))::BIGINT AS many, pow(2, range) / ({den} * d) AS share, d FROM range(0, 40), (SELECT greatest(max(d), 2)::DOUBLE AS d FROM deg))) WHERE covered < 1"
+        )
+    return g_sql(name, S.DEG, select=union_sql(parts))
+
+
+CONSTANTS = (("default", EngineConfig().chunk_den, EngineConfig().iter_mult), ("published", EngineConfig.paper().chunk_den, EngineConfig.paper().iter_mult))
+
+
+@query(_schedule_sql("copart_1", CONSTANTS))
+def chunk_schedule(spark, folder):
+    """Chunks of each phase on the densest graph, with the default constants and the published ones."""
+    degree = max(graph(spark, folder, "copart_1").max_degree, 2)
+    rows = [(kind, *row) for kind, den, mult in CONSTANTS for row in mis.chunk_schedule(degree, EngineConfig(chunk_den=den, iter_mult=mult))]
+    return spark.createDataFrame(rows, "constants string, phase long, chunks long, share double")
+
+
+@query(_mis_sql("copart_3"))
+def mis_chunk_defaults(spark, folder):
+    """Chunks by the default constants."""
+    return mis.chunked(graph(spark, folder, "copart_3"))
+
+
+@query(_mis_sql("emb_35"))
+def mis_hop_radius(spark, folder):
+    """Hop gathering with the radius that the graph's size and degree give."""
+    return mis.hop_compressed(graph(spark, folder, "emb_35"))
+
+
+@query(g_sql("conv_chain", S.COMPONENTS, S.COMP, f"c AS (SELECT v, comp AS cid FROM comp)", select=f"SELECT pos_dis + neg_dis AS before_cost, true AS not_dearer, true AS within_size FROM ({S.cost('c')})"))
+def shrink_bounds(spark, folder):
+    """Shrinking at arboricity one: no cluster above two, and no higher cost than before."""
+    g = graph(spark, folder, "conv_chain")
+    whole = materialize(baselines.component_clusters(g), "clusters")
+    found = materialize(clip.shrink(g, whole, 1), "clusters")
+    before, after = _matching_cost(g, whole), _matching_cost(g, found)
+    largest = found.groupBy("cid").count().agg(F.max("count")).first()[0] or 0
+    return spark.createDataFrame([(before, after <= before, largest <= 2)], "before_cost long, not_dearer boolean, within_size boolean")
+
+
+@query(g_sql("event_chain", select="SELECT (SELECT count(*) FROM vertices) AS vertices, true AS proper, true AS few"))
+def coloring_bounds(spark, folder):
+    """The colour reduction of a forest: every vertex, less than six colours, none like its parent's."""
+    found = materialize(forest.color_reduce(forest.root(graph(spark, folder, "event_chain"))), "colors")
+    above = found.select(F.col("v").alias("parent"), F.col("color").alias("over"))
+    clash = found.join(above, "parent").where("color = over").count()
+    n, top = found.agg(F.count("*"), F.max("color")).first()
+    return spark.createDataFrame([(n, clash == 0, (top or 0) < 6)], "vertices long, proper boolean, few boolean")
+
+
 @query()
 def shrink_clusters(spark, folder):
     """Components of a forest brought below the size an optimum can have (2 at arboricity one)."""
@@ -382,7 +497,7 @@ def shrink_clusters(spark, folder):
     return clip.shrink(g, baselines.component_clusters(g), 1)
 
 
-@query()
+@query(g_sql("copart_2", *_PEEL, select="SELECT coalesce(max(lo), 0)::BIGINT AS lo, coalesce((SELECT max(d) FROM rd JOIN rl USING (it) WHERE d <= l), 0)::BIGINT AS hi FROM rl"))
 def arboricity_bounds(spark, folder):
     return arboricity.bounds_frame(graph(spark, folder, "copart_2"))
 
@@ -472,7 +587,7 @@ def hop_memory(spark, folder):
     return balls.agg(F.max("c").alias("max_ball"), F.sum("c").alias("total"))
 
 
-@query()
+@query(g_sql("copart_2", *S.mis()[:3], select="SELECT coalesce(max(f), 0)::BIGINT // 2 AS depth FROM (SELECT v, min(it) AS f FROM st WHERE s = 2 GROUP BY v)"))
 def mis_depth(spark, folder):
     """Rounds of local minima until all is decided."""
     return measure.dependency_depth(graph(spark, folder, "copart_2"))
@@ -491,12 +606,28 @@ def residual_degree(spark, folder):
     return measure.residual_degree(graph(spark, folder, "emb_30"))
 
 
-@query()
+_FIRST = f"floor(least(1.0::DOUBLE, ln(greatest((SELECT count(*) FROM vertices), 3)::DOUBLE) / greatest((SELECT max(d) FROM deg), 1)::DOUBLE) * {SPAN}::DOUBLE)::BIGINT"
+
+
+@query(
+    g_sql(
+        "emb_30",
+        S.DEG,
+        *S.mis()[:1],
+        f"first AS MATERIALIZED (SELECT v FROM prio WHERE p < {_FIRST})",
+        select="SELECT (SELECT count(*) FROM first) AS vertices, coalesce((SELECT max(c) FROM (SELECT a.v, count(*) AS c FROM adj a JOIN first x ON x.v = a.v JOIN first y ON y.v = a.w GROUP BY a.v)), 0) AS max_degree",
+    )
+)
 def prefix_degree(spark, folder):
     return measure.prefix_degree(graph(spark, folder, "emb_30"))
 
 
-@query()
+_EMB30 = S.GRAPHS["emb_30"]
+#: Chunks of the first width; at this graph's degree the order ends within the first phase.
+_INNER = f"SELECT e.u, e.v FROM ({_EMB30[1]}) e, (SELECT {SPAN}::DOUBLE / max(c) AS w FROM (SELECT x, count(*) AS c FROM (SELECT u AS x FROM ({_EMB30[1]}) UNION ALL SELECT v FROM ({_EMB30[1]})) GROUP BY x)) WHERE floor({S.prio(v='e.u')} / w) = floor({S.prio(v='e.v')} / w)"
+
+
+@query(g_sql((_EMB30[0], _INNER), S.COMPONENTS, S.COMP, select="SELECT count(*) AS components, coalesce(max(s), 1) AS largest FROM (SELECT comp, count(*) AS s FROM comp WHERE v IN (SELECT v FROM adj) GROUP BY comp)"))
 def chunk_components(spark, folder):
     return measure.chunk_component_sizes(graph(spark, folder, "emb_30"))
 
@@ -520,12 +651,15 @@ def sketch_profile(spark, folder):
 # --- workloads ---------------------------------------------------------------------------------------------------------
 
 
-@query(g_sql("emb_30", *S.mis(), select="SELECT 'emb_30' AS graph, c AS direct, c AS prefix, c AS chunk, c AS hop FROM (SELECT count(*) AS c FROM mis WHERE in_mis)"))
+@query(union_sql([g_sql(n, S.DEG, *S.mis(), select=f"SELECT '{n}' AS graph, c AS direct, c AS prefix, c AS chunk, c AS hop, (SELECT count(*) FROM deg WHERE d > 12 * {lam}) AS clipped FROM (SELECT count(*) AS c FROM mis WHERE in_mis)") for n, lam in (("emb_30", 10), ("copart_2", 13))]))
 def w_bounded_degree(spark, folder):
-    """Size of the set by four methods: four equal columns."""
-    g = graph(spark, folder, "emb_30")
-    ways = (mis.local_minima(g), mis.prefix_phased(g), mis.chunked(g, cfg=EngineConfig(chunk_den=0.2)), mis.hop_compressed(g, radius=2))
-    return spark.createDataFrame([("emb_30", *(w.where("in_mis").count() for w in ways))], "graph string, direct long, prefix long, chunk long, hop long")
+    """Size of the set by four methods: four equal columns; at a bound of the degree, clipping takes nothing."""
+    rows = []
+    for n, lam in (("emb_30", 10), ("copart_2", 13)):
+        g = graph(spark, folder, n)
+        ways = (mis.local_minima(g), mis.prefix_phased(g), mis.chunked(g, cfg=EngineConfig(chunk_den=0.2)), mis.hop_compressed(g, radius=2))
+        rows.append((n, *(w.where("in_mis").count() for w in ways), clip.split(g, 2.0, lam).where("high").count()))
+    return spark.createDataFrame(rows, "graph string, direct long, prefix long, chunk long, hop long, clipped long")
 
 
 @query(union_sql([g_sql(n, *_PIVOT, f"c AS ({S.cost()})", select=f"SELECT '{n}' AS graph, (SELECT count(*) FROM vertices) AS n, (SELECT count(*) FROM edges) AS m, pos_dis + neg_dis AS cost FROM c") for n in ("grid", "band")]))
@@ -540,11 +674,12 @@ def w_planar_band(spark, folder):
 @query(
     f"SELECT 'geo' AS graph, m, k AS matching, m - k AS opt, m - k AS exact_cost FROM (SELECT (SELECT count(*) FROM ({S.GRAPHS['geo'][1]})) AS m, (SELECT count(*) FROM ({_geo_matching_sql()})) AS k)"
     f" UNION ALL SELECT 'event_chain', m, k, m - k, m - k FROM (SELECT (SELECT count(*) FROM ({S.GRAPHS['event_chain'][1]})) AS m, {_EVENT_M} AS k)"
+    f" UNION ALL SELECT 'conv_chain', m, k, m - k, m - k FROM (SELECT (SELECT count(*) FROM ({S.GRAPHS['conv_chain'][1]})) AS m, {_CONV_M} AS k)"
 )
 def w_forest_optimum(spark, folder):
     """Optimum by the size of a maximum matching, and the cost of its clustering counted on the edges."""
     rows = []
-    for n in ("geo", "event_chain"):
+    for n in ("geo", "event_chain", "conv_chain"):
         g = graph(spark, folder, n)
         found = materialize(forest.max_matching(g), "matching")
         k = found.count()
@@ -552,12 +687,22 @@ def w_forest_optimum(spark, folder):
     return spark.createDataFrame(rows, "graph string, m long, matching long, opt long, exact_cost long")
 
 
-@query("SELECT 1::BIGINT AS optimum, 2::BIGINT AS middle_edge")
+@query(
+    f"WITH four AS (SELECT count(*) FILTER (WHERE n = 4) AS c FROM ({_ISLANDS} SELECT n FROM s))"
+    " SELECT 'path' AS graph, 1::BIGINT AS paths, 1::BIGINT AS optimum, 2::BIGINT AS middle_edge UNION ALL SELECT 'event_chain', c, c, 2 * c FROM four"
+)
 def w_tight_path(spark, folder):
-    """Four vertices in a row: the optimum, and the maximal matching that takes the middle edge."""
-    g = B.path(spark, 4)
-    middle = g.edges.where("u = 1 and v = 2")
-    return spark.createDataFrame([(_matching_cost(g, forest.cluster(g, "exact")), _matching_cost(g, forest.from_matching(g, middle)))], "optimum long, middle_edge long")
+    """Four vertices in a row: the optimum, and the maximal matching that takes the middle edge; also on all paths of four
+    events, where the middle edge is the one whose ends both have two neighbours."""
+    rows = []
+    whole = graph(spark, folder, "event_chain")
+    comp = materialize(components.components(whole.edges), "comp")
+    four = comp.join(comp.groupBy("comp").count().where("count = 4"), "comp").select("v")
+    for name, g in (("path", B.path(spark, 4)), ("event_chain", whole.induced(materialize(four, "four")).stored("four"))):
+        inner = g.degrees().where("d = 2").select("v")
+        middle = g.edges.join(inner, "v", "left_semi").join(inner.select(F.col("v").alias("u")), "u", "left_semi").select("u", "v")
+        rows.append((name, g.n // 4, _matching_cost(g, forest.cluster(g, "exact")), _matching_cost(g, forest.from_matching(g, materialize(middle, "middle")))))
+    return spark.createDataFrame(rows, "graph string, paths long, optimum long, middle_edge long")
 
 
 @query("SELECT k::BIGINT AS k, 1::BIGINT AS two_cliques, (k * (k - 1) + 1)::BIGINT AS simple_rule FROM (VALUES (3), (5), (8)) t(k)")
@@ -597,22 +742,30 @@ def w_degenerate(spark, folder):
     return spark.createDataFrame(rows, "graph string, n long, clusters long, cost long")
 
 
+GROWTH = (200, 800, 3200)
+
+
 @query()
 def w_round_growth(spark, folder):
-    """Rounds of the methods and baselines on one graph."""
-    g = graph(spark, folder, "emb_35")
+    """Rounds of the methods and baselines as scale-free graphs grow: steps and exchanges by the ledger, and the stages
+    and jobs that Spark ran for them."""
     rows = []
-    for name, run in (
-        ("direct", lambda x: mis.local_minima(g, ledger=x)),
-        ("prefix-local", lambda x: mis.prefix_phased(g, ledger=x)),
-        ("prefix-hop", lambda x: mis.prefix_phased(g, sub="hop", radius=2, ledger=x)),
-        ("serial-batches", lambda x: baselines.serial_batches(g, 2.0, ledger=x)),
-        ("unlocked-batches", lambda x: baselines.unlocked_batches(g, 2.0, ledger=x)),
-    ):
-        ledger = RoundLedger()
-        run(ledger)
-        rows.append((name, g.n, g.max_degree, len(ledger.rows), ledger.rounds))
-    return spark.createDataFrame(rows, "method string, n long, max_degree long, steps long, exchanges long")
+    for n in GROWTH:
+        g = B.scalefree(spark, n).stored("growth")
+        for name, run in (
+            ("direct", lambda x, g=g: mis.local_minima(g, ledger=x)),
+            ("prefix-local", lambda x, g=g: mis.prefix_phased(g, ledger=x)),
+            ("prefix-chunk", lambda x, g=g: mis.prefix_phased(g, sub="chunk", cfg=EngineConfig(chunk_den=0.1), ledger=x)),
+            ("prefix-hop", lambda x, g=g: mis.prefix_phased(g, sub="hop", ledger=x)),
+            ("sampled-is", lambda x, g=g: baselines.sampled_is(g, 2.0, ledger=x, max_phases=3)),
+            ("serial-batches", lambda x, g=g: baselines.serial_batches(g, 8.0, ledger=x)),
+            ("unlocked-batches", lambda x, g=g: baselines.unlocked_batches(g, 8.0, ledger=x)),
+        ):
+            ledger = RoundLedger()
+            with measured_stages(spark) as stages:
+                run(ledger)
+            rows.append((name, g.n, g.max_degree, len(ledger.rows), ledger.rounds, *stages))
+    return spark.createDataFrame(rows, "method string, n long, max_degree long, steps long, exchanges long, jobs long, stages long")
 
 
 EPS = (0.25, 0.5, 1.0, 2.0)
@@ -645,40 +798,81 @@ def w_eps_sweep(spark, folder):
     return spark.createDataFrame(rows, "eps double, high long, cost long")
 
 
-@query(
-    g_sql(
-        "emb_35",
-        *_PIVOT,
-        S.COMPONENTS,
-        S.COMP,
-        "one AS (SELECT v, v AS cid FROM vertices)",
-        "whole AS (SELECT v, comp AS cid FROM comp)",
-        select=" UNION ALL ".join(f"SELECT '{m}' AS method, pos_dis + neg_dis AS cost FROM ({S.cost(t)})" for m, t in (("sequential", "cl"), ("serial-batches", "cl"), ("direct", "cl"), ("singletons", "one"), ("components", "whole"))),
-    )
-)
+#: Graph and upper bound of its arboricity for the clipped method.
+COMPARED = (("emb_35", 6), ("scalefree_customers", 2), ("conv_chain", 1))
+
+
+def _compared_sql(name, lam):
+    """Costs of methods with one result; those with free choices are told to be no dearer than leaving all together."""
+    one, whole = "one AS (SELECT v, v AS cid FROM vertices)", "whole AS (SELECT v, comp AS cid FROM comp)"
+    fixed = (("sequential", "cl"), ("serial-batches", "cl"), ("direct", "cl"), ("prefix", "cl"), ("clipped", "ccl"), ("singletons", "one"), ("components", "whole"))
+    rows = [f"SELECT '{name}' AS graph, '{m}' AS method, pos_dis + neg_dis AS cost, true AS plausible FROM ({S.cost(t)})" for m, t in fixed]
+    rows += [f"SELECT '{name}', '{m}', NULL, true" for m in ("sampled-is", "unlocked-batches", *(["maximal-matching"] if lam == 1 else []))]
+    return g_sql(name, *_PIVOT, *S.clipped_pivot(12 * lam), S.COMPONENTS, S.COMP, one, whole, select=" UNION ALL ".join(rows))
+
+
+@query(union_sql([_compared_sql(*x) for x in COMPARED]))
 def w_baselines(spark, folder):
-    g = graph(spark, folder, "emb_35")
-    ways = (
-        ("sequential", baselines.sequential_pivot(g)),
-        ("serial-batches", baselines.serial_batches(g, 2.0)),
-        ("direct", baselines.direct_pivot(g)),
-        ("singletons", baselines.singletons(g)),
-        ("components", baselines.component_clusters(g)),
-    )
-    return spark.createDataFrame([(m, _matching_cost(g, c)) for m, c in ways], "method string, cost long")
+    """Every baseline on bounded-degree, scale-free and forest graphs. Methods without one fixed result have a null cost
+    and must lie between the triangle packing bound and every pair wrong."""
+    rows = []
+    for name, lam in COMPARED:
+        g = graph(spark, folder, name)
+        ways = [
+            ("sequential", baselines.sequential_pivot(g)),
+            ("serial-batches", baselines.serial_batches(g, 8.0)),
+            ("direct", baselines.direct_pivot(g)),
+            ("prefix", pivot.cluster(g, method="prefix")),
+            ("clipped", clip.three_approx(g, lam)),
+            ("singletons", baselines.singletons(g)),
+            ("components", baselines.component_clusters(g)),
+        ]
+        rows += [(name, m, _matching_cost(g, c), True) for m, c in ways]
+        free = [("sampled-is", baselines.sampled_is(g, 8.0)), ("unlocked-batches", baselines.unlocked_batches(g, 8.0))]
+        if lam == 1:
+            free.append(("maximal-matching", baselines.maximal_matching_clusters(g)))
+        low = measure.packing_bound(g).first()[0]
+        rows += [(name, m, None, low <= _matching_cost(g, c) <= g.n * (g.n - 1) // 2) for m, c in free]
+    return spark.createDataFrame(rows, "graph string, method string, cost long, plausible boolean")
 
 
-@query(union_sql([g_sql(n, *_PIVOT, f"c AS ({S.cost()})", select=f"SELECT '{n}' AS graph, (SELECT count(DISTINCT cid) FROM cl) AS clusters, pos_dis + neg_dis AS cost FROM c") for n in ("doc_near_5", "doc_exact")]))
+@query(union_sql([g_sql(n, *_PIVOT, f"c AS ({S.cost()})", select=f"SELECT '{n}' AS graph, (SELECT count(DISTINCT cid) FROM cl) AS clusters, pos_dis + neg_dis AS cost FROM c") for n in ("doc_near_5", "doc_exact", "doc_bench", "event_chain")]))
 def w_documents(spark, folder):
-    """Documents clustered by similarity of their word shingles, and by equal text."""
+    """Documents clustered by similarity of their word shingles, by equal text and by benchmark passages; sessions of events."""
     rows = []
-    for n in ("doc_near_5", "doc_exact"):
+    for n in ("doc_near_5", "doc_exact", "doc_bench", "event_chain"):
         g = graph(spark, folder, n)
         found = materialize(pivot.cluster(g), "clusters")
         rows.append((n, found.select("cid").distinct().count(), _matching_cost(g, found)))
     return spark.createDataFrame(rows, "graph string, clusters long, cost long")
 
 
+@query(g_sql("emb_30", select="SELECT count(*) AS exact, true AS subset, true AS recalled FROM edges"))
+def lsh_recall(spark, folder):
+    """Pairs by random hyperplanes against all pairs: none that is not one of them, and nine tenths of them at least."""
+    exact = graph(spark, folder, "emb_30")
+    rows = B.embedding_rows(spark, folder)
+    found = materialize(B.hyperplane_edges(rows, 0.30), "lsh")
+    both = found.join(exact.edges, ["u", "v"]).count()
+    return spark.createDataFrame([(exact.m, both == found.count(), both >= 0.9 * exact.m)], "exact long, subset boolean, recalled boolean")
+
+
+@query(g_sql("emb_35", S.DEG, select="SELECT e.u, e.v, d.d FROM edges e JOIN deg d ON d.v = e.u"))
+def bucketed_join(spark, folder):
+    """Edges and degrees written as tables bucketed alike, joined without another exchange."""
+    import uuid
+
+    from signedcluster.sources import tables as T
+
+    g, tag = graph(spark, folder, "emb_35"), uuid.uuid4().hex[:12]
+    T.write_bucketed(g.edges, f"edges_{tag}", 4, "u")
+    T.write_bucketed(g.degrees().select(F.col("v").alias("u"), "d"), f"degrees_{tag}", 4, "u")
+    found = materialize(spark.table(f"edges_{tag}").join(spark.table(f"degrees_{tag}"), "u").select("u", "v", "d"), "joined")
+    for t in (f"edges_{tag}", f"degrees_{tag}"):
+        spark.sql(f"DROP TABLE {t}")
+    return found
+
+
 @query()
 def edges_from_files(spark, folder):
     """Write a graph's edges and a ledger to files, read the edges back."""

@@ -132,8 +132,12 @@ def hyperplane_edges(rows: DataFrame, threshold: float, bits: int = 4, tables: i
     return keyed_products(keyed.select(F.explode("keys").alias("key"), "id", "x"), threshold, block_rows).distinct()
 
 
+def embedding_rows(spark: SparkSession, folder: str) -> DataFrame:
+    return load(spark, folder, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("x"))
+
+
 def emb(spark: SparkSession, folder: str, threshold: float = 0.30) -> SignedGraph:
-    rows = load(spark, folder, "embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("x"))
+    rows = embedding_rows(spark, folder)
     return normalise(cosine_edges(rows, threshold), rows.select(F.col("id").alias("v")))
 
 
