@@ -311,7 +311,7 @@ def test_quality(docs, none):
 
 
 def test_language_model(docs, none):
-    got = recurrent_lm.score_documents(docs, top_words=50, train_docs=5).collect()
+    got = recurrent_lm.score_documents(docs, top_words=50, least_docs=5).collect()
     words = {}
     for i, t in TEXTS:
         words.setdefault(i, (t or "").encode().lower().split())
@@ -339,7 +339,8 @@ def test_recurrent_gradients_and_lanes():
     unit = recurrent_lm.GatedUnit()
     for k in unit.w:
         unit.w[k] = unit.w[k].astype(np.float64) * 3
-    x, y = draw.integers(0, recurrent_lm.CLASSES, (2, 4, 3))
+    x, y = draw.integers(0, recurrent_lm.CLASSES * recurrent_lm.GROUPS, (2, 4, 3))
+    y[0] = recurrent_lm.HEAD + 3 + recurrent_lm.CLASSES * np.arange(3)
     fresh, h = draw.random((4, 3)) < 0.3, draw.standard_normal((3, recurrent_lm.HIDDEN)) * 0.3
     g = unit.window_gradients(x, y, fresh, h)[0]
     for k, w in unit.w.items():
@@ -350,7 +351,7 @@ def test_recurrent_gradients_and_lanes():
         down = unit.window_gradients(x, y, fresh, h)[1]
         w[at] += 1e-3
         assert abs(g[k][at] - (up - down) / 2e-3) < 1e-3 * abs(g[k][at]) + 1e-6
-    seqs = [draw.integers(0, recurrent_lm.CLASSES, n) for n in (1, 90, 40, 3, 64)]
+    seqs = [draw.integers(0, recurrent_lm.CLASSES * recurrent_lm.GROUPS, n) for n in (1, 90, 40, 3, 64)]
     whole = recurrent_lm.document_log_probs(unit, seqs)
     alone = [recurrent_lm.document_log_probs(unit, [s], window=7)[0] for s in seqs]
     assert np.allclose(whole, alone, rtol=1e-4)
@@ -564,3 +565,21 @@ def test_shards_are_bounded_and_keep_routes_together():
     assert plan == [(-1, 0, 1), (3, 0, 1), (4, 1, 1), (7, 2, 10), (9, 12, 1), (12, 12, 1)]
     assert bm25_packing.route_of(np.array([5, 9, 2]), np.array([0, 0, 4, 0, 0, 1, 0, 0, 0, 2])) == 9
     assert bm25_packing.route_of(np.array([5]), np.array([0, 0, 4, 0, 0, 1])) == -1
+
+
+def test_language_model_is_a_distribution_and_learns(spark):
+    """Probabilities of all possible next words (one unseen word a group) sum to one; order in the words is learned."""
+    draw = np.random.default_rng(4)
+    halves = [[f"{a}{k}x{a}" for k in range(120)] for a in ("ab", "cd")]
+    rows = [(k, " ".join(draw.choice(halves[k % 2], 60))) for k in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = recurrent_lm.score_documents(docs, top_words=100, least_docs=300, rounds=3).collect()
+    held = [r for r in got if r["held_out"]]
+    assert len(held) > 30 and sum(r["score"] - r["base_score"] for r in held) / sum(r["n_tokens"] for r in held) > 0.2
+    unit = recurrent_lm.GatedUnit()
+    state = draw.standard_normal((1, recurrent_lm.HIDDEN)).astype(np.float32)
+    unit.w["group"][:] = draw.standard_normal(unit.w["group"].shape)
+    codes = [c for c in range(recurrent_lm.HEAD)] + [recurrent_lm.END] + [c + recurrent_lm.CLASSES * g for c in range(recurrent_lm.HEAD, recurrent_lm.END) for g in range(recurrent_lm.GROUPS)]
+    states, target = np.repeat(state, len(codes), 0), np.array(codes)
+    total = np.exp(unit.class_log_probs(states, target % recurrent_lm.CLASSES) + unit.group_log_probs(states, target)).sum()
+    assert abs(total - 1) < 1e-4
