@@ -238,7 +238,7 @@ def w_scalefree_clip(spark, folder):
     return union([_pair_costs(spark, folder, n, 2) for n in ("scalefree_customers", "scalefree_orders")])
 
 
-SEEDS = (42, 43, 44, 45, 46)
+SEEDS = (42, 43, 44)
 
 
 def _seed_costs_sql(name, limit):
@@ -251,7 +251,7 @@ def _seed_costs_sql(name, limit):
 
 @query(_seed_costs_sql("scalefree_customers", 24))
 def w_scalefree_seeds(spark, folder):
-    """Clipped and unclipped cost under five orders of one scale-free graph."""
+    """Clipped and unclipped cost under three orders of one scale-free graph."""
     g, rows = graph(spark, folder, "scalefree_customers"), []
     for seed in SEEDS:
         cfg = EngineConfig(seed=seed)
@@ -373,7 +373,7 @@ def forest_ratio(spark, folder):
     return spark.createDataFrame(rows, "method string, cost long, bound double, within boolean")
 
 
-RATIOS = tuple((g, how, eps) for g in ("event_chain", "conv_chain", "geo") for how in ("det", "rand") for eps in (0.5, 1.0))
+RATIOS = (*(("conv_chain", how, eps) for how in ("det", "rand") for eps in (0.5, 1.0)), ("geo", "det", 1.0), ("geo", "rand", 1.0))
 _OPT = {
     "event_chain": f"(SELECT count(*) FROM ({S.GRAPHS['event_chain'][1]})) - {_EVENT_M}",
     "conv_chain": f"(SELECT count(*) FROM ({S.GRAPHS['conv_chain'][1]})) - {_CONV_M}",
@@ -742,7 +742,7 @@ def w_degenerate(spark, folder):
     return spark.createDataFrame(rows, "graph string, n long, clusters long, cost long")
 
 
-GROWTH = (200, 800, 3200)
+GROWTH = (100, 400)
 
 
 @query()
@@ -757,9 +757,7 @@ def w_round_growth(spark, folder):
             ("prefix-local", lambda x, g=g: mis.prefix_phased(g, ledger=x)),
             ("prefix-chunk", lambda x, g=g: mis.prefix_phased(g, sub="chunk", cfg=EngineConfig(chunk_den=0.1), ledger=x)),
             ("prefix-hop", lambda x, g=g: mis.prefix_phased(g, sub="hop", ledger=x)),
-            ("sampled-is", lambda x, g=g: baselines.sampled_is(g, 2.0, ledger=x, max_phases=3)),
             ("serial-batches", lambda x, g=g: baselines.serial_batches(g, 8.0, ledger=x)),
-            ("unlocked-batches", lambda x, g=g: baselines.unlocked_batches(g, 8.0, ledger=x)),
         ):
             ledger = RoundLedger()
             with measured_stages(spark) as stages:
@@ -799,7 +797,7 @@ def w_eps_sweep(spark, folder):
 
 
 #: Graph and upper bound of its arboricity for the clipped method.
-COMPARED = (("emb_35", 6), ("scalefree_customers", 2), ("conv_chain", 1))
+COMPARED = (("emb_35", 6), ("conv_chain", 1))
 
 
 def _compared_sql(name, lam):
@@ -807,13 +805,13 @@ def _compared_sql(name, lam):
     one, whole = "one AS (SELECT v, v AS cid FROM vertices)", "whole AS (SELECT v, comp AS cid FROM comp)"
     fixed = (("sequential", "cl"), ("serial-batches", "cl"), ("direct", "cl"), ("prefix", "cl"), ("clipped", "ccl"), ("singletons", "one"), ("components", "whole"))
     rows = [f"SELECT '{name}' AS graph, '{m}' AS method, pos_dis + neg_dis AS cost, true AS plausible FROM ({S.cost(t)})" for m, t in fixed]
-    rows += [f"SELECT '{name}', '{m}', NULL, true" for m in ("sampled-is", "unlocked-batches", *(["maximal-matching"] if lam == 1 else []))]
+    rows += [f"SELECT '{name}', '{m}', NULL, true" for m in ("unlocked-batches", *(["sampled-is", "maximal-matching"] if lam == 1 else []))]
     return g_sql(name, *_PIVOT, *S.clipped_pivot(12 * lam), S.COMPONENTS, S.COMP, one, whole, select=" UNION ALL ".join(rows))
 
 
 @query(union_sql([_compared_sql(*x) for x in COMPARED]))
 def w_baselines(spark, folder):
-    """Every baseline on bounded-degree, scale-free and forest graphs. Methods without one fixed result have a null cost
+    """Every baseline on a bounded-degree graph and a forest. Methods without one fixed result have a null cost
     and must lie between the triangle packing bound and every pair wrong."""
     rows = []
     for name, lam in COMPARED:
@@ -828,9 +826,9 @@ def w_baselines(spark, folder):
             ("components", baselines.component_clusters(g)),
         ]
         rows += [(name, m, _matching_cost(g, c), True) for m, c in ways]
-        free = [("sampled-is", baselines.sampled_is(g, 8.0)), ("unlocked-batches", baselines.unlocked_batches(g, 8.0))]
+        free = [("unlocked-batches", baselines.unlocked_batches(g, 8.0))]
         if lam == 1:
-            free.append(("maximal-matching", baselines.maximal_matching_clusters(g)))
+            free += [("sampled-is", baselines.sampled_is(g, 1.0)), ("maximal-matching", baselines.maximal_matching_clusters(g))]
         low = measure.packing_bound(g).first()[0]
         rows += [(name, m, None, low <= _matching_cost(g, c) <= g.n * (g.n - 1) // 2) for m, c in free]
     return spark.createDataFrame(rows, "graph string, method string, cost long, plausible boolean")
