@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import re
 from collections.abc import Iterable, Iterator
 
@@ -98,6 +99,14 @@ def without_rows(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id", text_
     return sure.unionByName(rest.join(gone, same(rest), "left_anti"))
 
 
+def release() -> None:
+    """Give freed memory back to the system, so that a worker that waits for its next task holds little."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def map_rows(df: DataFrame, step, schema: str) -> DataFrame:
     """``step(batches of column dicts) -> iterator of column dicts`` through Arrow, no pandas in between."""
     from pyspark.sql.pandas.types import to_arrow_schema
@@ -111,6 +120,8 @@ def map_rows(df: DataFrame, step, schema: str) -> DataFrame:
             held = (out[f.name] for f in arrow)
             columns = [c.cast(f.type) if isinstance(c, pa.Array) else pa.array(c, type=f.type) for c, f in zip(held, arrow, strict=True)]
             yield pa.RecordBatch.from_arrays(columns, schema=arrow)
+        out = held = columns = None
+        release()
 
     return df.mapInArrow(run, kinds)
 

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from signedcluster.llm.common import by_bytes, doc_frame, map_rows, offsets_of
 from signedcluster.shared import worker_cache
 
-#: Words that a worker remembers, of those met once and of those met again each, before it starts anew; bounds its memory.
+#: Words that a task remembers, of those met once and of those met again each, before it starts anew; bounds its memory.
 MEMO_WORDS = 200_000
 #: Separators that are white space to Python and not to the tokenizers, or the other way round.
 ODD = "\x1c\x1d\x1e\x1f\x85\u180e\u200b\u2028\u2029"
@@ -101,7 +101,8 @@ class ChunkEncoder:
 
     def __init__(self, path: str, keep_space: bool, dtype: str):
         self.tokenizer, self.keep_space, self.dtype = _load(path), keep_space, np.dtype(dtype)
-        self.known, self.met = worker_cache().setdefault(f"words {path} {dtype}", ({}, {}))
+        self.known: dict[str, bytes] = {}
+        self.met: dict[str, bytes] = {}
         sizes = np.zeros(self.tokenizer.get_vocab_size(with_added_tokens=True), np.int64)
         for token, k in self.tokenizer.get_vocab(with_added_tokens=True).items():
             sizes[k] = len(token.removesuffix("</w>")) if not keep_space else len(token)

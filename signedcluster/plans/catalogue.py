@@ -238,28 +238,6 @@ def w_scalefree_clip(spark, folder):
     return union([_pair_costs(spark, folder, n, 2) for n in ("scalefree_customers", "scalefree_orders")])
 
 
-SEEDS = (42, 43, 44)
-
-
-def _seed_costs_sql(name, limit):
-    parts = []
-    for seed in SEEDS:
-        tables = [*S.mis(str(seed)), S.clustering(), *S.clipped_pivot(limit, str(seed)), f"a AS (SELECT pos_dis + neg_dis AS c FROM ({S.cost('cl')}))", f"b AS (SELECT pos_dis + neg_dis AS c FROM ({S.cost('ccl')}))"]
-        parts.append(g_sql(name, *tables, select=f"SELECT {seed} AS seed, a.c AS pivot_cost, b.c AS clipped_cost FROM a, b"))
-    return union_sql(parts)
-
-
-@query(_seed_costs_sql("scalefree_customers", 24))
-def w_scalefree_seeds(spark, folder):
-    """Clipped and unclipped cost under three orders of one scale-free graph."""
-    g, rows = graph(spark, folder, "scalefree_customers"), []
-    for seed in SEEDS:
-        cfg = EngineConfig(seed=seed)
-        cut = clip.cluster(g, 2.0, 2, lambda rest, cfg=cfg: pivot.cluster(rest, cfg=cfg))
-        rows.append((seed, _matching_cost(g, pivot.cluster(g, cfg=cfg)), _matching_cost(g, cut)))
-    return spark.createDataFrame(rows, "seed int, pivot_cost long, clipped_cost long")
-
-
 def _hub_sql(name):
     """As :func:`_pair_costs_sql`, the threshold 12 times the upper arboricity bound of peeling."""
     bound = "(SELECT 12 * max(d) FROM rd JOIN rl USING (it) WHERE d <= l)"
@@ -373,7 +351,7 @@ def forest_ratio(spark, folder):
     return spark.createDataFrame(rows, "method string, cost long, bound double, within boolean")
 
 
-RATIOS = (*(("conv_chain", how, eps) for how in ("det", "rand") for eps in (0.5, 1.0)), ("geo", "det", 1.0), ("geo", "rand", 1.0))
+RATIOS = (*(("conv_chain", how, eps) for how in ("det", "rand") for eps in (0.5, 1.0)))
 _OPT = {
     "event_chain": f"(SELECT count(*) FROM ({S.GRAPHS['event_chain'][1]})) - {_EVENT_M}",
     "conv_chain": f"(SELECT count(*) FROM ({S.GRAPHS['conv_chain'][1]})) - {_CONV_M}",
