@@ -351,7 +351,7 @@ def forest_ratio(spark, folder):
     return spark.createDataFrame(rows, "method string, cost long, bound double, within boolean")
 
 
-RATIOS = (*(("conv_chain", how, eps) for how in ("det", "rand") for eps in (0.5, 1.0)))
+RATIOS = tuple(("conv_chain", how, eps) for how in ("det", "rand") for eps in (0.5, 1.0))
 _OPT = {
     "event_chain": f"(SELECT count(*) FROM ({S.GRAPHS['event_chain'][1]})) - {_EVENT_M}",
     "conv_chain": f"(SELECT count(*) FROM ({S.GRAPHS['conv_chain'][1]})) - {_CONV_M}",
@@ -361,7 +361,7 @@ _OPT = {
 
 @query(" UNION ALL ".join(f"SELECT '{g}' AS graph, '{how}' AS method, {eps}::DOUBLE AS eps, {_OPT[g]} AS opt, true AS within" for g, how, eps in RATIOS))
 def w_forest_ratios(spark, folder):
-    """Both approximate forest methods stay within 1 + eps of the optimum on each forest."""
+    """Both approximate forest methods stay within 1 + eps of the optimum."""
     held = {n: graph(spark, folder, n) for n, _, _ in RATIOS}
     opt = {n: _matching_cost(g, forest.cluster(g, "exact")) for n, g in held.items()}
     rows = [(n, how, eps, opt[n], _matching_cost(held[n], forest.cluster(held[n], how, eps)) <= (1 + eps) * opt[n] + 1e-9) for n, how, eps in RATIOS]
