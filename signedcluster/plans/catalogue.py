@@ -135,10 +135,11 @@ def k_hop_pairs(spark, folder):
     return exchange.k_hop(graph(spark, folder, "emb_30"), 3)
 
 
-@query(g_sql("emb_30", _hops_sql(4), select="SELECT v, min(hops)::BIGINT AS dist FROM hops WHERE root % 50 = 0 GROUP BY v"))
+@query(g_sql("emb_30", S.DEG, _hops_sql(4), select="SELECT v, min(hops)::BIGINT AS dist FROM hops WHERE root IN (SELECT v FROM deg WHERE 2 * d >= (SELECT max(d) FROM deg)) GROUP BY v"))
 def simulated_bfs(spark, folder):
+    """Hops from the nearest vertex of at least half the largest degree."""
     g = graph(spark, folder, "emb_30")
-    return exchange.simulate_distances(g, g.vertices.where("v % 50 = 0"), 4, 2)
+    return exchange.simulate_distances(g, g.degrees().where(F.lit(2) * F.col("d") >= g.max_degree).select("v"), 4, 2)
 
 
 @query(g_sql("emb_30", _hops_sql(3), select="SELECT root AS v, min(v) AS label FROM hops GROUP BY root"))

@@ -23,11 +23,9 @@ _shingle = (
 
 def _near(t: float) -> str:
     sh = _shingle.format(kind=7 * K, key="doc_id", table="documents")
-    return f"""SELECT p.u, p.v FROM (
-      SELECT a.id AS u, b.id AS v, count(*) AS k FROM sh a JOIN sh b ON a.s = b.s AND a.id < b.id
-      JOIN (SELECT DISTINCT x.id AS u, y.id AS v FROM rare x JOIN rare y ON x.s = y.s AND x.id < y.id) c ON c.u = a.id AND c.v = b.id
-      GROUP BY 1, 2) p JOIN (SELECT id, count(*) AS n FROM sh GROUP BY 1) i ON i.id = p.u JOIN (SELECT id, count(*) AS n FROM sh GROUP BY 1) j ON j.id = p.v
-      WHERE p.k >= {t} * (i.n + j.n - p.k)""".replace("SELECT p.u", f"WITH sh AS MATERIALIZED ({sh}), rare AS MATERIALIZED (SELECT * FROM sh WHERE s IN (SELECT s FROM sh GROUP BY s HAVING count(*) BETWEEN 2 AND 200)) SELECT p.u", 1)
+    return f"""WITH sh AS MATERIALIZED ({sh}), size AS MATERIALIZED (SELECT id, count(*) AS n FROM sh GROUP BY 1)
+      SELECT p.u, p.v FROM (SELECT a.id AS u, b.id AS v, count(*) AS k FROM sh a JOIN sh b ON a.s = b.s AND a.id < b.id GROUP BY 1, 2) p
+      JOIN size i ON i.id = p.u JOIN size j ON j.id = p.v WHERE p.k >= {t} * (i.n + j.n - p.k)"""
 
 
 def copart(k: int) -> tuple[str, str]:
