@@ -1,6 +1,7 @@
 """The ten operators on hard small inputs, against brute force."""
 
 import hashlib
+import tempfile
 import zlib
 
 import numpy as np
@@ -583,3 +584,32 @@ def test_language_model_is_a_distribution_and_learns(spark):
     states, target = np.repeat(state, len(codes), 0), np.array(codes)
     total = np.exp(unit.class_log_probs(states, target % recurrent_lm.CLASSES) + unit.group_log_probs(states, target)).sum()
     assert abs(total - 1) < 1e-4
+
+
+def test_every_training_text_teaches_the_recurrent_weights(spark, tmp_path, monkeypatch):
+    """Texts have lengths of their own, so the lengths that training tasks see tell which texts they read."""
+    docs = spark.createDataFrame([(k, "a " * k) for k in range(400)], "doc_id long, text string")
+    folder = str(tmp_path)
+
+    def watched(unit, seqs, done, share, **more):
+        with tempfile.NamedTemporaryFile("w", dir=folder, suffix=f"-{done:.3f}", delete=False) as out:
+            out.write(" ".join(str(len(s) - 1) for s in seqs))
+
+    monkeypatch.setattr(recurrent_lm, "epoch", watched)
+    learn = [k for k in range(400) if zlib.crc32(str(k).encode()) % 10]
+    read = lambda: sorted(int(n) for f in tmp_path.iterdir() for n in f.read_text().split())
+    recurrent_lm.score_documents(docs, least_docs=20)
+    assert sorted(set(read())) == learn and len(read()) <= len(learn) + 3
+    for f in tmp_path.iterdir():
+        f.write_text("")
+    recurrent_lm.score_documents(docs, least_docs=1000)
+    assert read() == sorted(learn * 3)
+
+
+def test_scores_do_not_depend_on_texts_of_the_same_lane():
+    draw = np.random.default_rng(6)
+    unit = recurrent_lm.GatedUnit()
+    unit.w["out"] *= 20
+    seqs = [np.append(draw.integers(0, recurrent_lm.HEAD, n), recurrent_lm.END) for n in (3, 30, 8, 0, 12, 5, 21)]
+    alone = [recurrent_lm.document_log_probs(unit, [s])[0] for s in seqs]
+    assert np.allclose(recurrent_lm.document_log_probs(unit, seqs, lanes=2), alone, rtol=1e-5)
