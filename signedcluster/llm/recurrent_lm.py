@@ -62,30 +62,30 @@ class GatedUnit:
 
     def run(self, xs: np.ndarray, fresh: np.ndarray, h: np.ndarray, keep_parts: bool = False):
         """States of one window (steps x lanes x hidden) from state ``h``, and the parts that its gradients need."""
-        w, kind = self.w, self.w["new"].dtype
-        given = w["in"][xs % CLASSES]
-        states = np.empty((*xs.shape, HIDDEN), kind)
-        parts = tuple(np.empty_like(states) for _ in range(3)) if keep_parts else None
-        gates, new = given[:, :, : 2 * HIDDEN], given[:, :, 2 * HIDDEN :]
+        w, kind, x = self.w, self.w["new"].dtype, xs % CLASSES
+        gates = np.take(np.ascontiguousarray(w["in"][:, : 2 * HIDDEN]), x, axis=0)
+        new = np.take(np.ascontiguousarray(w["in"][:, 2 * HIDDEN :]), x, axis=0)
+        states = np.empty_like(new)
+        parts = tuple(np.empty_like(states) for _ in range(4)) if keep_parts else None
         for t, starts in enumerate(fresh.any(1).tolist()):
             if starts:
                 h = np.where(fresh[t][:, None], 0, h).astype(kind)
-            now = gates[t]
+            now, made = gates[t], new[t]
             now += h @ w["gates"]
             np.negative(now, out=now)
             np.exp(now, out=now)
             now += 1
             np.reciprocal(now, out=now)
-            inner = now[:, HIDDEN:] * h
-            new[t] += inner @ w["new"]
-            np.tanh(new[t], out=new[t])
+            keep, reset = now[:, :HIDDEN], now[:, HIDDEN:]
+            inner = reset * h
+            made += inner @ w["new"]
+            np.tanh(made, out=made)
             if keep_parts:
-                parts[0][t], parts[1][t] = h, inner
-            h = h - new[t]
-            h *= now[:, :HIDDEN]
-            h += new[t]
-            states[t] = h
-        return states, (*parts[:2], gates[:, :, :HIDDEN], gates[:, :, HIDDEN:], new) if keep_parts else None
+                parts[0][t], parts[1][t], parts[2][t], parts[3][t] = h, inner, keep, reset
+            h = np.subtract(h, made, out=states[t])
+            h *= keep
+            h += made
+        return states, (*parts, new) if keep_parts else None
 
     def exponentials(self, states: np.ndarray, target: np.ndarray):
         """(exponentials of the class logits, their sums, log probability of the class asked for); bounded logits need no shift."""
@@ -138,47 +138,53 @@ class GatedUnit:
             at, asked = flat[k : k + BLOCK], target[k : k + BLOCK]
             p, total, logs = self.exponentials(at, asked)
             loss -= logs.sum() / n
-            p *= (1 / (total * n))[:, None]
-            p[np.arange(len(asked)), asked] -= 1 / n
-            g["out"] += at.T @ p
-            g["bias"] += np.ones(len(asked), p.dtype) @ p
-            np.matmul(p, w["out"].T, out=down[k : k + BLOCK])
+            p[np.arange(len(asked)), asked] -= total
+            scale = 1 / (total * n)
+            g["out"] += (at * scale[:, None]).T @ p
+            g["bias"] += scale @ p
+            back = np.matmul(p, w["out"].T, out=down[k : k + BLOCK])
+            back *= scale[:, None]
         rows, cuts, at, e, total, asked, logs = self.grouped(flat, codes)
         loss -= logs.sum() / n
-        e *= (1 / (total * n))[:, None]
-        e[np.arange(len(rows)), asked] -= 1 / n
+        e[np.arange(len(rows)), asked] -= total
+        scale = 1 / (total * n)
+        at *= scale[:, None]
         back = np.empty_like(at)
         for c in np.flatnonzero(np.diff(cuts)).tolist():
             part = slice(cuts[c], cuts[c + 1])
-            g["group"][c], g["group_bias"][c] = at[part].T @ e[part], e[part].sum(0)
+            g["group"][c], g["group_bias"][c] = at[part].T @ e[part], scale[part] @ e[part]
             np.matmul(e[part], w["group"][c].T, out=back[part])
+        back *= scale[:, None]
         down[rows] += back
         down = down.reshape(states.shape)
         by_new = (1 - keep) * (1 - new * new)
         by_keep = (before - new) * keep * (1 - keep)
         by_reset = inner * (1 - reset)
-        d_in = np.empty((*xs.shape, 3 * HIDDEN), flat.dtype)
+        d_gates, d_new = np.empty((*xs.shape, 2 * HIDDEN), flat.dtype), np.empty_like(states)
         carry = np.zeros_like(states[0])
+        back_new, back_gates = np.ascontiguousarray(w["new"].T), np.ascontiguousarray(w["gates"].T)
         for t in reversed(range(steps)):
-            d = down[t] + carry
-            to = d_in[t]
-            np.multiply(d, by_keep[t], out=to[:, :HIDDEN])
-            np.multiply(d, by_new[t], out=to[:, 2 * HIDDEN :])
-            back = to[:, 2 * HIDDEN :] @ w["new"].T
-            np.multiply(back, by_reset[t], out=to[:, HIDDEN : 2 * HIDDEN])
-            carry = to[:, : 2 * HIDDEN] @ w["gates"].T
+            d = down[t]
+            d += carry
+            np.multiply(d, by_keep[t], out=d_gates[t, :, :HIDDEN])
+            back = np.multiply(d, by_new[t], out=d_new[t]) @ back_new
+            np.multiply(back, by_reset[t], out=d_gates[t, :, HIDDEN:])
+            carry = d_gates[t] @ back_gates
             d *= keep[t]
             back *= reset[t]
             carry += d
             carry += back
-            carry[fresh[t]] = 0
-        d_in = d_in.reshape(-1, 3 * HIDDEN)
-        g["gates"] = before.reshape(-1, HIDDEN).T @ d_in[:, : 2 * HIDDEN]
-        g["new"] = inner.reshape(-1, HIDDEN).T @ d_in[:, 2 * HIDDEN :]
+            if fresh[t].any():
+                carry[fresh[t]] = 0
+        d_gates, d_new = d_gates.reshape(-1, 2 * HIDDEN), d_new.reshape(-1, HIDDEN)
+        g["gates"] = before.reshape(-1, HIDDEN).T @ d_gates
+        g["new"] = inner.reshape(-1, HIDDEN).T @ d_new
         read = (xs.ravel() % CLASSES).astype(np.int16)
         order = np.argsort(read, kind="stable")
-        kinds, first = np.unique(read[order], return_index=True)
-        g["in"][kinds] = np.add.reduceat(d_in[order], first)
+        cuts, one = np.searchsorted(read[order], np.arange(CLASSES + 1)), np.ones(n, flat.dtype)
+        d_in = np.concatenate((d_gates, d_new), 1)[order]
+        for c in np.flatnonzero(np.diff(cuts)).tolist():
+            np.matmul(one[cuts[c] : cuts[c + 1]], d_in[cuts[c] : cuts[c + 1]], out=g["in"][c])
         return g, loss, states[-1]
 
 
@@ -271,7 +277,7 @@ def code_arrays(column: pa.Array) -> list[np.ndarray]:
 
 def train_apart(rows: DataFrame, n_texts: int, n_tokens: int, unit: GatedUnit, rounds: int, least_docs: int) -> GatedUnit:
     """Rounds over all ``rows(row, doc_id, codes)``: each task passes once over its part from the same weights, which are
-    then averaged by the number of tokens. Averages are summed by a few tasks, so the driver's share has a bound.
+    then averaged by the number of tokens, by a few tasks and then by one, so the driver gets the weights once a round.
 
     A round reads a window of the hashes of id and codes, 1/``rounds`` of them or what gives ``least_docs`` texts. Windows
     leave no gap, so every text is read in one round at least, and in each of them if there are few.
@@ -282,7 +288,7 @@ def train_apart(rows: DataFrame, n_texts: int, n_tokens: int, unit: GatedUnit, r
     parts = max(1, -(-n_tokens * wide // ring // TASK_TOKENS))
     for k in range(rounds):
         start = unit.w
-        at = F.pmod(F.xxhash64("doc_id", "codes") - F.lit(k * ring // rounds), F.lit(ring))
+        at = F.pmod(F.pmod(F.xxhash64("doc_id", "codes"), F.lit(ring)) - F.lit(k * ring // rounds), F.lit(ring))
         table = rows.where(at < F.lit(wide)).repartition(parts, F.xxhash64("row", "doc_id")).select("codes")
 
         def part(batches, start=start, k=k):
@@ -292,25 +298,25 @@ def train_apart(rows: DataFrame, n_texts: int, n_tokens: int, unit: GatedUnit, r
                 seqs = [np.frombuffer(c, "<i2") for c in held]
                 epoch(own, seqs, k / rounds, 1 / rounds)
                 n = sum(map(len, seqs))
-                yield {"n": [n], "w": [(np.concatenate([v.ravel() for v in own.w.values()]).astype("<f8") * n).tobytes()]}
+                yield {"n": [n], "w": [np.concatenate([v.ravel() for v in own.w.values()]).astype("<f4").tobytes()]}
 
-        def add(batches):
-            n, total = 0, None
+        def mean(batches):
+            n, total = 0, 0.0
             for batch in batches:
                 for here, w in zip(batch.column("n").to_pylist(), batch.column("w").to_pylist(), strict=True):
                     n += here
-                    total = np.frombuffer(w, "<f8") if total is None else total + np.frombuffer(w, "<f8")
+                    total = total + np.frombuffer(w, "<f4").astype(float) * here
             if n:
-                yield {"n": [n], "w": [total.tobytes()]}
+                yield {"n": [n], "w": [(total / n).astype("<f4").tobytes()]}
 
         schema = "n long, w binary"
-        found = map_rows(map_rows(table, part, schema).repartition(min(parts, 16)), add, schema).collect()
-        n = sum(r["n"] for r in found)
-        if not n:
-            return unit
-        mean = sum(np.frombuffer(bytes(r["w"]), "<f8") for r in found) / n
+        found = map_rows(map_rows(table, part, schema).repartition(min(parts, 16)), mean, schema)
+        found = map_rows(found.repartition(1), mean, schema).collect()
+        if not found:
+            continue
+        whole = np.frombuffer(bytes(found[0]["w"]), "<f4")
         cuts = np.cumsum([int(np.prod(x)) for x in shapes.values()])[:-1]
-        unit = GatedUnit(weights={k: v.reshape(x) for (k, x), v in zip(shapes.items(), np.split(mean, cuts), strict=True)})
+        unit = GatedUnit(weights={k: v.reshape(x) for (k, x), v in zip(shapes.items(), np.split(whole, cuts), strict=True)})
     return unit
 
 
