@@ -29,8 +29,8 @@ END = CLASSES - 1
 LN10 = float(np.log(10))
 #: States whose class logits are held at once, so that they stay in a core's cache.
 BLOCK = 1024
-#: Updates of a task in a round, and tokens it gets for them.
-UPDATES, TASK_TOKENS = 256, 1 << 20
+#: Updates that a task should make in a round at least, and tokens it gets: fewer tasks learn more before each average.
+UPDATES, TASK_TOKENS = 256, 1 << 21
 
 
 def tail_class(word: bytes) -> int:
@@ -235,7 +235,7 @@ def segments(seqs: list[np.ndarray], lanes: int):
 def epoch(unit: GatedUnit, seqs: list[np.ndarray], done: float, share: float, window: int = 16, rate: float = 6e-3, ends: np.ndarray | None = None) -> np.ndarray:
     """One pass over every token, from ``done`` to ``done + share`` of the training; returns the states at the lanes' ends.
 
-    64 to 256 lanes, by the number of tokens, so that about ``UPDATES`` windows are left; the rate grows with the root of
+    64 to 256 lanes, by the number of tokens, so that ``UPDATES`` windows are left if 64 allow it; the rate grows with the root of
     their number. A lane that starts inside a text begins in the state ``ends`` in which the lane before it ended an epoch ago.
     """
     lanes = min(256, max(64, sum(map(len, seqs)) // (window * UPDATES)))
