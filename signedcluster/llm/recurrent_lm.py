@@ -1,11 +1,12 @@
 """Gated recurrent language model in numpy with a class-factored output softmax, scoring complete documents.
 
 Words fall into classes: the most frequent words and the document end have a class of their own, all other words (known
-or not) the class of a hash of their last two bytes. A gated recurrent unit reads the classes. The output softmax has three
-factors: the next class given the state; inside a class of many words, the next group (a hash of the first three bytes) given
-class and state; the word inside its group by log(c + 0.1) of corpus counts over all training texts, with one entry of 0.1
-for words never seen. The first two are learned by truncated backpropagation, the state is carried across windows to the
-end of each document. A token is coded as its class plus ``CLASSES`` times its group.
+or not) the class of a hash of their last two bytes. A gated recurrent unit reads the classes. The output softmax has four
+factors: the next span of ``SPAN`` neighbouring classes given the state; the class given span and state; inside a class of
+many words, the next group (a hash of the first three bytes) given class and state; the word inside its group by
+log(c + 0.1) of corpus counts over all training texts, with one entry of 0.1 for words never seen. So a token needs
+``SPANS + SPAN`` exponentials for its class, not ``CLASSES``. The first three are learned by truncated backpropagation, the
+state is carried across windows to the end of each document. A token is coded as its class plus ``CLASSES`` times its group.
 """
 
 from __future__ import annotations
@@ -26,9 +27,8 @@ from signedcluster.shared import materialize
 HEAD, TAIL, GROUPS, HIDDEN = 79, 48, 32, 32
 CLASSES = HEAD + TAIL + 1
 END = CLASSES - 1
+SPANS, SPAN = 8, CLASSES // 8
 LN10 = float(np.log(10))
-#: States whose class logits are held at once, so that they stay in a core's cache.
-BLOCK = 1024
 #: Updates that a task should make in a round at least, and tokens it gets: fewer tasks learn more before each average.
 UPDATES, TASK_TOKENS = 256, 1 << 21
 
@@ -41,10 +41,25 @@ def tail_code(word: bytes) -> int:
     return tail_class(word) + CLASSES * (zlib.crc32(word[:3]) % GROUPS)
 
 
+@dataclass
+class Ready:
+    """Weights as the products need them: rows and matrix of the gates times -1 and of the new values times -2, biases as a last
+    row below the weights of each factor, which are (softmaxes x hidden and one x choices)."""
+
+    gate_rows: np.ndarray
+    new_rows: np.ndarray
+    gates: np.ndarray
+    new: np.ndarray
+    span: np.ndarray
+    out: np.ndarray
+    group: np.ndarray
+
+
 class GatedUnit:
     """Weights and windows of the recurrent unit; inputs are class ids, so the input product is a row lookup."""
 
     def __init__(self, seed: int = 5, weights: dict[str, np.ndarray] | None = None):
+        self.spaces: dict[str, np.ndarray] = {}
         if weights is not None:
             self.w = {k: v.astype(np.float32) for k, v in weights.items()}
             return
@@ -54,138 +69,189 @@ class GatedUnit:
             "in": small(CLASSES, 3 * HIDDEN),
             "gates": small(HIDDEN, 2 * HIDDEN),
             "new": small(HIDDEN, HIDDEN),
-            "out": small(HIDDEN, CLASSES),
-            "bias": np.zeros(CLASSES, np.float32),
+            "out": small(SPANS, HIDDEN, SPAN),
+            "bias": np.zeros((SPANS, SPAN), np.float32),
+            "span": np.zeros((1, HIDDEN, SPANS), np.float32),
+            "span_bias": np.zeros((1, SPANS), np.float32),
             "group": np.zeros((TAIL, HIDDEN, GROUPS), np.float32),
             "group_bias": np.zeros((TAIL, GROUPS), np.float32),
         }
 
-    def run(self, xs: np.ndarray, fresh: np.ndarray, h: np.ndarray, keep_parts: bool = False):
-        """States of one window (steps x lanes x hidden) from state ``h``, and the parts that its gradients need."""
-        w, kind, x = self.w, self.w["new"].dtype, xs % CLASSES
-        gates = np.take(np.ascontiguousarray(w["in"][:, : 2 * HIDDEN]), x, axis=0)
-        new = np.take(np.ascontiguousarray(w["in"][:, 2 * HIDDEN :]), x, axis=0)
-        states = np.empty_like(new)
-        parts = tuple(np.empty_like(states) for _ in range(4)) if keep_parts else None
+    def space(self, name: str, *shape: int, kind=None) -> np.ndarray:
+        """An array that is used again by the next call of that name, so that its memory is not asked for each time."""
+        kind, n = np.dtype(kind or self.w["new"].dtype), int(np.prod(shape))
+        held = self.spaces.get(name)
+        if held is None or held.size < n or held.dtype != kind:
+            held = self.spaces[name] = np.empty(n, kind)
+        return held[:n].reshape(shape)
+
+    def ready(self) -> Ready:
+        w = self.w
+        joined = (np.concatenate((w[k], w[b][:, None]), 1) for k, b in (("span", "span_bias"), ("out", "bias"), ("group", "group_bias")))
+        return Ready(-w["in"][:, : 2 * HIDDEN], -2 * w["in"][:, 2 * HIDDEN :], -w["gates"], -2 * w["new"], *joined)
+
+    def run(self, xs: np.ndarray, fresh: np.ndarray, h: np.ndarray, ready: Ready, keep_parts: bool = False):
+        """States of one window (steps x lanes x hidden) from state ``h``, and the parts that its gradients need: the states
+        before, these after the reset, keep and reset gates, new values, and the states before less the new values.
+
+        All of them hold until the next window.
+        """
+        x, kind = xs % CLASSES, self.w["new"].dtype
+        steps, lanes = x.shape
+        room = steps if keep_parts else 1
+        states, now = self.space("states", steps, lanes, HIDDEN), self.space("now", lanes, 2 * HIDDEN)
+        parts = tuple(self.space(k, room, lanes, HIDDEN) for k in ("before", "inner", "keep", "reset", "new", "less"))
+        for_gates, for_new = self.space("for_gates", lanes, 2 * HIDDEN), self.space("for_new", lanes, HIDDEN)
+        h = h.astype(kind)
         for t, starts in enumerate(fresh.any(1).tolist()):
             if starts:
                 h = np.where(fresh[t][:, None], 0, h).astype(kind)
-            now, made = gates[t], new[t]
-            now += h @ w["gates"]
-            np.negative(now, out=now)
+            before, inner, keep, reset, new, less = (part[t if keep_parts else 0] for part in parts)
+            ready.gate_rows.take(x[t], 0, now, "clip")
+            now += np.matmul(h, ready.gates, out=for_gates)
             np.exp(now, out=now)
             now += 1
-            np.reciprocal(now, out=now)
-            keep, reset = now[:, :HIDDEN], now[:, HIDDEN:]
-            inner = reset * h
-            made += inner @ w["new"]
-            np.tanh(made, out=made)
+            np.reciprocal(now[:, :HIDDEN], out=keep)
+            np.reciprocal(now[:, HIDDEN:], out=reset)
+            ready.new_rows.take(x[t], 0, new, "clip")
+            new += np.matmul(np.multiply(reset, h, out=inner), ready.new, out=for_new)
+            np.exp(new, out=new)  # tanh(z) = 2 / (1 + exp(-2 z)) - 1
+            new += 1
+            np.divide(2, new, out=new)
+            new -= 1
             if keep_parts:
-                parts[0][t], parts[1][t], parts[2][t], parts[3][t] = h, inner, keep, reset
-            h = np.subtract(h, made, out=states[t])
-            h *= keep
-            h += made
-        return states, (*parts, new) if keep_parts else None
-
-    def exponentials(self, states: np.ndarray, target: np.ndarray):
-        """(exponentials of the class logits, their sums, log probability of the class asked for); bounded logits need no shift."""
-        e = states @ self.w["out"]
-        e += self.w["bias"]
-        if np.abs(self.w["out"]).sum(0).max() + np.abs(self.w["bias"]).max() > 60:
+                before[:] = h
+            h = np.multiply(np.subtract(h, new, out=less), keep, out=states[t])
+            h += new
+        return states, parts
+
+    def by_class(self, states: np.ndarray, codes: np.ndarray):
+        """(order of the codes by class, states in it with a last column of ones, codes in it, and the rows of the whole, of
+        each span and of each class of many words as parts of it)."""
+        kind = (codes % CLASSES).astype(np.int16)
+        order = np.argsort(kind, kind="stable")
+        cuts = np.concatenate(([0], np.cumsum(np.bincount(kind, minlength=CLASSES)))).tolist()
+        at = self.space("at", len(order), HIDDEN + 1)
+        at[:, :HIDDEN], at[:, HIDDEN] = np.take(states, order, axis=0, mode="clip"), 1
+        part = lambda edges: [(k, slice(a, b)) for k, (a, b) in enumerate(zip(edges[:-1], edges[1:], strict=True)) if b > a]
+        return order, at, codes[order], [(0, slice(0, len(order)))], part(cuts[::SPAN]), part(cuts[HEAD : END + 1])
+
+    def factor(self, name: str, at: np.ndarray, parts: list, weights: np.ndarray, asked: np.ndarray):
+        """(exponentials of the logits, their sums, log probabilities of what is asked for) of one factor; bounded logits need
+        no shift. ``parts`` tells which rows each softmax has."""
+        e = self.space(name, len(asked), weights.shape[2])
+        for k, part in parts:
+            np.matmul(at[part], weights[k], out=e[part])
+        if len(e) and max(e.max(), -e.min()) > 60:
             e -= e.max(1, keepdims=True)
-        picked = e[np.arange(len(target)), target]
+        picked = e[np.arange(len(e)), asked]
         np.exp(e, out=e)
-        total = e @ np.ones(CLASSES, e.dtype)
+        total = e @ np.ones(e.shape[1], e.dtype)
         return e, total, picked - np.log(total)
 
-    def grouped(self, states: np.ndarray, target: np.ndarray):
-        """Rows of classes of many words in the order of their class, where each class ends, their states, exponentials of
-        their group logits, sums, groups asked for and log probabilities of these."""
-        kind = (target % CLASSES - HEAD).astype(np.int16)
-        order = np.argsort(kind, kind="stable")
-        cuts = np.searchsorted(kind[order], np.arange(TAIL + 1))
-        rows = order[cuts[0] : cuts[-1]]
-        cuts -= cuts[0]
-        at, asked = states[rows], target[rows] // CLASSES
-        e = self.w["group_bias"][kind[rows]]
-        for c in np.flatnonzero(np.diff(cuts)).tolist():
-            e[cuts[c] : cuts[c + 1]] += at[cuts[c] : cuts[c + 1]] @ self.w["group"][c]
-        if np.abs(self.w["group"]).sum(1).max() + np.abs(self.w["group_bias"]).max() > 60:
-            e -= e.max(1, keepdims=True)
-        picked = e[np.arange(len(rows)), asked]
-        np.exp(e, out=e)
-        total = e @ np.ones(GROUPS, e.dtype)
-        return rows, cuts, at, e, total, asked, picked - np.log(total)
+    def class_factors(self, at: np.ndarray, codes: np.ndarray, whole: list, spans: list, ready: Ready):
+        span, inside = np.divmod(codes % CLASSES, SPAN)
+        return (span, inside), self.factor("span", at, whole, ready.span, span), self.factor("class", at, spans, ready.out, inside)
+
+    def group_factor(self, at: np.ndarray, codes: np.ndarray, tails: list, ready: Ready):
+        """Of the rows of classes of many words: which they are, parts of these, groups asked for and the factor."""
+        rows = slice(tails[0][1].start, tails[-1][1].stop) if tails else slice(0, 0)
+        parts = [(k, slice(p.start - rows.start, p.stop - rows.start)) for k, p in tails]
+        asked = codes[rows] // CLASSES
+        return rows, parts, asked, self.factor("group", at[rows], parts, ready.group, asked)
+
+    def log_probs(self, states: np.ndarray, codes: np.ndarray, ready: Ready, of_class: bool = True, of_group: bool = True) -> np.ndarray:
+        """Of the class, and of the group where the class has many words."""
+        order, at, codes, whole, spans, tails = self.by_class(states, codes)
+        out, got = np.empty(len(codes)), np.zeros(len(codes))
+        if of_class:
+            _, (*_, of_span), (*_, inside) = self.class_factors(at, codes, whole, spans, ready)
+            got += of_span
+            got += inside
+        if of_group:
+            rows, _, _, (*_, p) = self.group_factor(at, codes, tails, ready)
+            got[rows] += p
+        out[order] = got
+        return out
 
     def group_log_probs(self, states: np.ndarray, target: np.ndarray) -> np.ndarray:
-        out = np.zeros(len(target))
-        rows, *_, p = self.grouped(states, target)
-        out[rows] = p
-        return out
+        return self.log_probs(states, target, self.ready(), of_class=False)
 
     def class_log_probs(self, states: np.ndarray, target: np.ndarray) -> np.ndarray:
-        return self.exponentials(states, target)[2]
+        return self.log_probs(states, target, self.ready(), of_group=False)
+
+    def pull(self, at: np.ndarray, parts: list, weights: np.ndarray, asked: np.ndarray, n: int, e: np.ndarray, total: np.ndarray):
+        """Gradients of a factor's weights (biases last) and of the states before it, from :meth:`factor`; ``n``: all tokens."""
+        e[np.arange(len(e)), asked] -= total
+        e *= (1 / (total * n))[:, None]
+        g, back = np.zeros_like(weights), self.space("pulled", len(e), HIDDEN)
+        for k, part in parts:
+            np.matmul(at[part].T, e[part], out=g[k])
+            np.matmul(e[part], weights[k, :HIDDEN].T, out=back[part])
+        return g, back
 
     def window_gradients(self, xs: np.ndarray, ys: np.ndarray, fresh: np.ndarray, h: np.ndarray):
         """Truncated backpropagation over one window (steps x lanes); returns gradients, loss, state at its end."""
-        w, steps = self.w, len(xs)
-        states, (before, inner, keep, reset, new) = self.run(xs, fresh, h, True)
-        flat, codes = states.reshape(-1, HIDDEN), ys.ravel().astype(np.int64)
-        target, n = codes % CLASSES, codes.size
-        g = {k: np.zeros_like(v) for k, v in w.items()}
-        down, loss = np.empty_like(flat), 0.0
-        for k in range(0, n, BLOCK):
-            at, asked = flat[k : k + BLOCK], target[k : k + BLOCK]
-            p, total, logs = self.exponentials(at, asked)
-            loss -= logs.sum() / n
-            p[np.arange(len(asked)), asked] -= total
-            scale = 1 / (total * n)
-            g["out"] += (at * scale[:, None]).T @ p
-            g["bias"] += scale @ p
-            back = np.matmul(p, w["out"].T, out=down[k : k + BLOCK])
-            back *= scale[:, None]
-        rows, cuts, at, e, total, asked, logs = self.grouped(flat, codes)
-        loss -= logs.sum() / n
-        e[np.arange(len(rows)), asked] -= total
-        scale = 1 / (total * n)
-        at *= scale[:, None]
-        back = np.empty_like(at)
-        for c in np.flatnonzero(np.diff(cuts)).tolist():
-            part = slice(cuts[c], cuts[c + 1])
-            g["group"][c], g["group_bias"][c] = at[part].T @ e[part], scale[part] @ e[part]
-            np.matmul(e[part], w["group"][c].T, out=back[part])
-        back *= scale[:, None]
-        down[rows] += back
+        w, ready, (steps, lanes) = self.w, self.ready(), xs.shape
+        states, (before, inner, keep, reset, new, less) = self.run(xs, fresh, h, ready, True)
+        n, g = ys.size, {k: np.zeros_like(v) for k, v in w.items()}
+        order, at, codes, whole, spans, tails = self.by_class(states.reshape(-1, HIDDEN), ys.ravel().astype(np.int64))
+        (span, inside), of_span, of_class = self.class_factors(at, codes, whole, spans, ready)
+        rows, parts, asked, of_group = self.group_factor(at, codes, tails, ready)
+        loss = -sum(f[2].sum() for f in (of_span, of_class, of_group)) / n
+        sorted_down = self.space("sorted_down", n, HIDDEN)
+        for k, b, held, own, of, want, f in (
+            ("span", "span_bias", slice(0, n), whole, ready.span, span, of_span),
+            ("out", "bias", slice(0, n), spans, ready.out, inside, of_class),
+            ("group", "group_bias", rows, parts, ready.group, asked, of_group),
+        ):
+            both, back = self.pull(at[held], own, of, want, n, *f[:2])
+            g[k], g[b] = both[:, :HIDDEN], both[:, HIDDEN]
+            if k == "span":
+                sorted_down[:] = back
+            else:
+                sorted_down[held] += back
+        down = self.space("down", n, HIDDEN)
+        down[order] = sorted_down
         down = down.reshape(states.shape)
-        by_new = (1 - keep) * (1 - new * new)
-        by_keep = (before - new) * keep * (1 - keep)
-        by_reset = inner * (1 - reset)
-        d_gates, d_new = np.empty((*xs.shape, 2 * HIDDEN), flat.dtype), np.empty_like(states)
-        carry = np.zeros_like(states[0])
+        rest = np.subtract(1, keep, out=self.space("rest", *keep.shape))
+        np.multiply(new, new, out=new)
+        by_new = np.subtract(1, new, out=new)
+        by_new *= rest
+        by_keep = less
+        by_keep *= keep
+        by_keep *= rest
+        by_reset = np.subtract(1, reset, out=rest)
+        by_reset *= inner
+        d_all = self.space("d_all", steps, lanes, 3 * HIDDEN)
+        d_gates, d_new = d_all[..., : 2 * HIDDEN], d_all[..., 2 * HIDDEN :]
+        carry, back = np.zeros_like(states[0]), self.space("back", lanes, HIDDEN)
         back_new, back_gates = np.ascontiguousarray(w["new"].T), np.ascontiguousarray(w["gates"].T)
+        starts = fresh.any(1).tolist()
         for t in reversed(range(steps)):
             d = down[t]
             d += carry
             np.multiply(d, by_keep[t], out=d_gates[t, :, :HIDDEN])
-            back = np.multiply(d, by_new[t], out=d_new[t]) @ back_new
+            np.matmul(np.multiply(d, by_new[t], out=d_new[t]), back_new, out=back)
             np.multiply(back, by_reset[t], out=d_gates[t, :, HIDDEN:])
-            carry = d_gates[t] @ back_gates
+            np.matmul(d_gates[t], back_gates, out=carry)
             d *= keep[t]
             back *= reset[t]
             carry += d
             carry += back
-            if fresh[t].any():
+            if starts[t]:
                 carry[fresh[t]] = 0
-        d_gates, d_new = d_gates.reshape(-1, 2 * HIDDEN), d_new.reshape(-1, HIDDEN)
-        g["gates"] = before.reshape(-1, HIDDEN).T @ d_gates
-        g["new"] = inner.reshape(-1, HIDDEN).T @ d_new
+        d_all = d_all.reshape(-1, 3 * HIDDEN)
+        g["gates"] = before.reshape(-1, HIDDEN).T @ d_all[:, : 2 * HIDDEN]
+        g["new"] = inner.reshape(-1, HIDDEN).T @ d_all[:, 2 * HIDDEN :]
         read = (xs.ravel() % CLASSES).astype(np.int16)
         order = np.argsort(read, kind="stable")
-        cuts, one = np.searchsorted(read[order], np.arange(CLASSES + 1)), np.ones(n, flat.dtype)
-        d_in = np.concatenate((d_gates, d_new), 1)[order]
-        for c in np.flatnonzero(np.diff(cuts)).tolist():
-            np.matmul(one[cuts[c] : cuts[c + 1]], d_in[cuts[c] : cuts[c + 1]], out=g["in"][c])
-        return g, loss, states[-1]
+        cuts, one = np.searchsorted(read[order], np.arange(CLASSES + 1)).tolist(), np.ones(n, d_all.dtype)
+        d_in = np.take(d_all, order, axis=0, mode="clip", out=self.space("d_in", *d_all.shape))
+        for c, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+            if b > a:
+                np.dot(one[a:b], d_in[a:b], out=g["in"][c])
+        return g, loss, states[-1].copy()
 
 
 def lanes_of(lengths: list[int], lanes: int) -> list[list[int]]:
@@ -241,8 +307,12 @@ def epoch(unit: GatedUnit, seqs: list[np.ndarray], done: float, share: float, wi
     lanes = min(256, max(64, sum(map(len, seqs)) // (window * UPDATES)))
     rate *= (lanes / 64) ** 0.5
     x, y, fresh, size = segments(seqs, lanes)
-    m = {k: np.zeros_like(v) for k, v in unit.w.items()}
-    v = {k: np.zeros_like(a) for k, a in unit.w.items()}
+    # The weights as parts of one array, so that an update is a few passes over it.
+    shapes = {k: v.shape for k, v in unit.w.items()}
+    w = np.concatenate([v.ravel() for v in unit.w.values()])
+    edges = np.cumsum([v.size for v in unit.w.values()])[:-1]
+    unit.w = {k: v.reshape(shapes[k]) for k, v in zip(shapes, np.split(w, edges), strict=True)}
+    a, m, v = np.empty_like(w), np.zeros_like(w), np.zeros_like(w)
     cuts = sorted({*range(0, len(x), window), int(size[-1]), len(x)})
     ends = np.zeros((x.shape[1], HIDDEN), np.float32) if ends is None else ends
     h = np.roll(ends, 1, axis=0)
@@ -250,13 +320,19 @@ def epoch(unit: GatedUnit, seqs: list[np.ndarray], done: float, share: float, wi
         live = int((size > at).sum())
         g, _, h = unit.window_gradients(x[at:to, :live], y[at:to, :live], fresh[at:to, :live], h[:live])
         ends[:live] = h
-        norm = np.sqrt(sum(float((a**2).sum()) for a in g.values()))
+        np.concatenate([x.ravel() for x in g.values()], out=a)
+        a *= 0.1 / max(1.0, np.sqrt(float(a @ a)))
+        m *= 0.9
+        m += a
+        a *= a
+        v *= 0.99
+        v += a
         lr = rate * (1 - 0.9 * (done + share * n / (len(cuts) - 1)))
-        for k, a in g.items():
-            a = a / max(1.0, norm)
-            m[k] += 0.1 * (a - m[k])
-            v[k] += 0.01 * (a**2 - v[k])
-            unit.w[k] -= (lr * (m[k] / (1 - 0.9**n)) / (np.sqrt(v[k] / (1 - 0.99**n)) + 1e-8)).astype(np.float32)
+        np.sqrt(v, out=a)
+        a += 1e-8 * (1 - 0.99**n) ** 0.5
+        np.divide(m, a, out=a)
+        a *= lr * (1 - 0.99**n) ** 0.5 / (1 - 0.9**n)
+        w -= a
     return ends
 
 
@@ -326,20 +402,17 @@ def document_log_probs(unit: GatedUnit, seqs: list[np.ndarray], lanes: int = 256
         return np.zeros(0)
     x, y, fresh, doc, size = lay_out(seqs, lanes_of([len(s) for s in seqs], lanes))
     total = np.zeros(len(seqs))
-    h = np.zeros((x.shape[1], HIDDEN), np.float32)
+    h, ready = np.zeros((x.shape[1], HIDDEN), np.float32), unit.ready()
     for at in range(0, len(x), window):
         live = int((size > at).sum())
-        states, _ = unit.run(x[at : at + window, :live], fresh[at : at + window, :live], h[:live])
-        h = states[-1]
+        states, _ = unit.run(x[at : at + window, :live], fresh[at : at + window, :live], h[:live], ready)
+        h = states[-1].copy()
         where = doc[at : at + window, :live].ravel()
         states, target = states.reshape(-1, HIDDEN), y[at : at + window, :live].ravel().astype(np.int64)
         if (where < 0).any():
             real = where >= 0
             states, target, where = states[real], target[real], where[real]
-        got = unit.group_log_probs(states, target)
-        for k in range(0, len(target), BLOCK):
-            got[k : k + BLOCK] += unit.class_log_probs(states[k : k + BLOCK], target[k : k + BLOCK] % CLASSES)
-        total += np.bincount(where, got, len(seqs))
+        total += np.bincount(where, unit.log_probs(states, target, ready), len(seqs))
     return total
 
 
@@ -435,7 +508,8 @@ def score_documents(
     unit = GatedUnit()
     inside = counts.group_tokens.sum(1)
     of_class = np.array([c for _, c in counts.top[:HEAD]] + [0] * (HEAD - len(counts.top[:HEAD])) + inside.tolist() + [counts.docs]) + 0.1
-    unit.w["bias"] = np.log(of_class / of_class.sum()).astype(np.float32)
+    of_class = (of_class / of_class.sum()).reshape(SPANS, SPAN)
+    unit.w["bias"], unit.w["span_bias"] = np.log(of_class).astype(np.float32), np.log(of_class.sum(1))[None].astype(np.float32)
     unit.w["group_bias"] = np.log(counts.group_total() / counts.group_total().sum(1, keepdims=True)).astype(np.float32)
 
     base_total, group_total = max(counts.base_total(), 0.1), counts.group_total()

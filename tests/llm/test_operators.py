@@ -613,3 +613,32 @@ def test_scores_do_not_depend_on_texts_of_the_same_lane():
     seqs = [np.append(draw.integers(0, recurrent_lm.HEAD, n), recurrent_lm.END) for n in (3, 30, 8, 0, 12, 5, 21)]
     alone = [recurrent_lm.document_log_probs(unit, [s])[0] for s in seqs]
     assert np.allclose(recurrent_lm.document_log_probs(unit, seqs, lanes=2), alone, rtol=1e-5)
+
+
+def test_a_token_of_the_language_model_takes_few_exponentials(monkeypatch):
+    """64 gates, 32 new values, 8 spans, 16 classes of a span, 32 groups of a class: not an exponential for each class."""
+    draw, taken, plain = np.random.default_rng(7), [], np.exp
+
+    def counted(x, *more, **named):
+        taken.append(np.size(x))
+        return plain(x, *more, **named)
+
+    monkeypatch.setattr(np, "exp", counted)
+    unit = recurrent_lm.GatedUnit()
+    codes = draw.integers(0, recurrent_lm.CLASSES * recurrent_lm.GROUPS, 2000)
+    recurrent_lm.document_log_probs(unit, [codes])
+    assert sum(taken) <= 2000 * (3 * recurrent_lm.HIDDEN + 24 + recurrent_lm.GROUPS)
+    taken.clear()
+    recurrent_lm.train([codes], epochs=1, unit=unit)
+    assert sum(taken) <= 2000 * (3 * recurrent_lm.HIDDEN + 24 + recurrent_lm.GROUPS)
+
+
+def test_bounds_of_logits_do_not_change_the_language_model():
+    """Logits of any size, of each factor: probabilities stay finite and sum to one over all classes and groups."""
+    draw, unit = np.random.default_rng(8), recurrent_lm.GatedUnit()
+    for k in ("span", "out", "group"):
+        unit.w[k] = (draw.standard_normal(unit.w[k].shape) * 200).astype(np.float32)
+    codes = [c for c in range(recurrent_lm.HEAD)] + [recurrent_lm.END] + [c + recurrent_lm.CLASSES * g for c in range(recurrent_lm.HEAD, recurrent_lm.END) for g in range(recurrent_lm.GROUPS)]
+    state = draw.standard_normal((1, recurrent_lm.HIDDEN)).astype(np.float32)
+    got = unit.log_probs(np.repeat(state, len(codes), 0), np.array(codes), unit.ready())
+    assert np.isfinite(got).all() and abs(np.exp(got).sum() - 1) < 1e-4
